@@ -1,9 +1,11 @@
 """Queries of the operators, and SQL where SQL can express them."""
 
-from . import quality, records
+from . import pii, quality, records, warc
 
 QUERIES = {
     "op2_binary_records": records.op2_binary_records,
+    "op3_anchor_expansion": pii.op3_anchor_expansion,
     "op4_quality_rules": quality.op4_quality_rules,
+    "op5_warc_normaliser": warc.op5_warc_normaliser,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op5_warc_normaliser": warc.ORACLE}

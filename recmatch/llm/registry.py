@@ -1,6 +1,6 @@
 """Queries of the operators, and SQL where SQL can express them."""
 
-from . import contamination, licenses, mixing, pii, quality, records, sharding, warc
+from . import contamination, jaccard, licenses, mixing, pii, quality, records, sharding, warc
 
 QUERIES = {
     "op2_binary_records": records.op2_binary_records,
@@ -10,6 +10,7 @@ QUERIES = {
     "op6_minhash_containment": contamination.op6_minhash_containment,
     "op8_rare_token_index": licenses.op8_rare_token_index,
     "op7_karmarkar_karp": sharding.op7_karmarkar_karp,
+    "op10_adaptive_prefixes": jaccard.op10_adaptive_prefixes,
     "op9_low_discrepancy_mix": mixing.op9_low_discrepancy_mix,
 }
 ORACLES: dict[str, str] = {"op5_warc_normaliser": warc.ORACLE}

@@ -1,8 +1,9 @@
 """Queries of the operators, and SQL where SQL can express them."""
 
-from . import contamination, jaccard, licenses, mixing, pii, quality, records, sharding, warc
+from . import contamination, jaccard, licenses, mixing, pii, quality, records, sharding, substrings, warc
 
 QUERIES = {
+    "op1_induced_suffix_sorting": substrings.op1_induced_suffix_sorting,
     "op2_binary_records": records.op2_binary_records,
     "op3_anchor_expansion": pii.op3_anchor_expansion,
     "op4_quality_rules": quality.op4_quality_rules,

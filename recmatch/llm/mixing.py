@@ -124,6 +124,8 @@ def op9_low_discrepancy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def take(docs: DataFrame, **how) -> DataFrame:
-    """The documents of which the mix takes words, with their columns; each once, with `taken` and `copies` left to mix()."""
-    used = mix(docs, **how)[0].filter("taken > 0").select(F.col("doc_id").alias("_taken_id")).distinct()
-    return docs.join(used, docs["doc_id"].eqNullSafe(used["_taken_id"]), "left_semi")
+    """docs as the mix takes them: a row for each whole time that it takes a document, halves rounded up; columns unchanged."""
+    used = mix(docs, **how)[0].filter("size > 0").select(F.col("doc_id").alias("_id"), F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("_n"))
+    used = stored(used.groupBy("_id").agg(F.max("_n").alias("_n")).filter("_n > 0"), "taken")
+    both = docs.join(used, docs["doc_id"].cast("long").eqNullSafe(used["_id"]))
+    return both.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_n")))).select(*(docs[c] for c in docs.columns))

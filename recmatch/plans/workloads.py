@@ -86,7 +86,7 @@ WORKLOADS = {
         Workload(
             "w3", f"{_doc} where doc_id % 2 = 0", f"{_doc} where doc_id % 2 = 1",
             "select a.rid as anchor_id, b.rid as cand_id from {documents_grams} a join {documents_grams} b on a.gram = b.gram where a.rid % 2 = 0 and b.rid % 2 = 1"
-            " group by a.rid, b.rid having count(*) >= 0.4 * (max(a.n) + max(b.n) - count(*))",
+            " group by a.rid, b.rid having count(*) >= 0.3 * (max(a.n) + max(b.n) - count(*))",
             (Attribute("text", "jaccard", 4), Attribute("lang", "exact", 1), Attribute("n_chars", "relgap", 1, 1.0)), ("text",), max_df=0.02, tau=0.6,
         ),
         Workload(
@@ -123,8 +123,8 @@ WORKLOADS = {
     )
 }
 
-#: Distinct word trigrams of documents with their number, for the truth of w3 and w9.
+#: Distinct 5-word grams of documents with their number, for the truth of w3 and w9.
 GRAMS = {
-    "spark": r"select rid, gram, size(grams) as n from (select doc_id as rid, array_distinct(transform(sequence(1, greatest(size(w) - 2, 1)), i -> concat_ws(' ', slice(w, i, 3)))) as grams from (select doc_id, filter(split(lower(text), '[^\\pL\\pN]+'), t -> t <> '') as w from {documents}) t) g lateral view explode(grams) e as gram",
-    "oracle": r"select rid, unnest(grams) as gram, len(grams) as n from (select doc_id as rid, list_distinct(list_transform(range(1, greatest(len(w) - 2, 1) + 1), lambda i: array_to_string(list_slice(w, i, i + 2), ' '))) as grams from (select doc_id, list_filter(string_split_regex(lower(text), '[^\pL\pN]+'), lambda t: t <> '') as w from documents) t) g",
+    "spark": r"select rid, gram, size(grams) as n from (select doc_id as rid, array_distinct(transform(sequence(1, greatest(size(w) - 4, 1)), i -> concat_ws(' ', slice(w, i, 5)))) as grams from (select doc_id, filter(split(lower(text), '[^\\pL\\pN]+'), t -> t <> '') as w from {documents}) t) g lateral view explode(grams) e as gram",
+    "oracle": r"select rid, unnest(grams) as gram, len(grams) as n from (select doc_id as rid, list_distinct(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: array_to_string(list_slice(w, i, i + 4), ' '))) as grams from (select doc_id, list_filter(string_split_regex(lower(text), '[^\pL\pN]+'), lambda t: t <> '') as w from documents) t) g",
 }

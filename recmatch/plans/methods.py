@@ -185,7 +185,7 @@ def _w6_texts(s, d):
     return candidates(s, d, "w6").join(a, "anchor_id").join(b, "cand_id")
 
 
-_w6_sql = f", at as (select rid as anchor_id, {_rec} as a_text from d1), bt as (select rid as cand_id, {_rec} as b_text from d2), tx as (select cs.*, a_text, b_text from cs join at using (anchor_id) join bt using (cand_id)) "
+_w6_sql = f", atx as (select rid as anchor_id, {_rec} as a_text from d1), bt as (select rid as cand_id, {_rec} as b_text from d2), tx as (select cs.*, a_text, b_text from cs join atx using (anchor_id) join bt using (cand_id)) "
 
 
 @query("match_prompt", on("w6", _w6_sql + "select anchor_id, cand_id, md5(concat_ws(chr(10), 'Say Yes if both entries describe one real thing, else No.', concat('First: ', a_text), concat('Second: ', b_text))) as digest from tx"))

@@ -78,7 +78,7 @@ def _(s, d):
 both("op_filter_predicates", "select p_partkey, p_name from {part} where (p_size between 5 and 20 and p_brand in ('Brand#2', 'Brand#4', 'Brand#17')) or (p_name like 'red%' and not p_type = 'SMALL') or p_type is not distinct from cast(null as string)", "select p_partkey, p_name from part where (p_size between 5 and 20 and p_brand in ('Brand#2', 'Brand#4', 'Brand#17')) or (p_name like 'red%' and not p_type = 'SMALL')")
 
 
-@query("op_project_render", "select p_partkey, concat_ws('; ', concat('name: ', p_name), concat('type: ', case when p_partkey % 7 <> 0 then p_type end)) as text from part")
+@query("op_project_render", "select p_partkey, concat_ws('; ', concat('name: ', p_name), 'type: ' || case when p_partkey % 7 <> 0 then p_type end) as text from part")
 def _(s, d):
     from recmatch.functions.prompts import record_text
 

@@ -82,8 +82,13 @@ def block_vectors(d1: DataFrame, d2: DataFrame, n: int = 10, planes: int = 0, se
 
 def block_minhash(d1: DataFrame, d2: DataFrame, bands: int = 20, rows: int = 4, least: float = 0.4) -> DataFrame:
     """Pairs of records (rid, grams) that share a band of MinHash values and reach the least Jaccard, exactly verified."""
-    value = lambda i: F.array_min(F.transform("grams", lambda g: F.xxhash64(F.lit(i), g)))
-    keyed = lambda d: d.filter(F.size("grams") > 0).select("rid", "grams", F.explode(F.array(*(F.xxhash64(F.lit(b), *(value(b * rows + r) for r in range(rows))) for b in range(bands)))).alias("band"))
+    n = bands * rows
+
+    def keyed(d: DataFrame) -> DataFrame:
+        """rid, band: values as one aggregate over exploded grams, which compiles; higher-order functions would not."""
+        mins = d.select("rid", F.explode("grams").alias("g")).groupBy("rid").agg(*(F.min(F.xxhash64(F.lit(i), "g")).alias(f"m{i}") for i in range(n)))
+        return mins.select("rid", F.explode(F.array(*(F.xxhash64(F.lit(b), *(F.col(f"m{b * rows + r}") for r in range(rows))) for b in range(bands)))).alias("band"))
+
     pairs = keyed(d1).select(F.col("rid").alias("anchor_id"), "band").join(keyed(d2).select(F.col("rid").alias("cand_id"), "band"), "band").filter("anchor_id <> cand_id").select("anchor_id", "cand_id").distinct()
     both = pairs.join(d1.select(F.col("rid").alias("anchor_id"), F.col("grams").alias("x")), "anchor_id").join(d2.select(F.col("rid").alias("cand_id"), F.col("grams").alias("y")), "cand_id")
     j = F.size(F.array_intersect("x", "y")) / F.size(F.array_union("x", "y"))

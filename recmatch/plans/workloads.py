@@ -123,8 +123,9 @@ WORKLOADS = {
     )
 }
 
+#: The words stand in a generated row of their own, else the optimizer puts their expression into the lambda, to run once a gram.
 #: Distinct 5-word grams of documents with their number, for the truth of w3 and w9.
 GRAMS = {
-    "spark": r"select rid, gram, size(grams) as n from (select doc_id as rid, array_distinct(transform(sequence(1, greatest(size(w) - 4, 1)), i -> concat_ws(' ', slice(w, i, 5)))) as grams from (select doc_id, filter(split(lower(text), '[^\\pL\\pN]+'), t -> t <> '') as w from {documents}) t) g lateral view explode(grams) e as gram",
+    "spark": r"select rid, gram, size(grams) as n from (select doc_id as rid, array_distinct(transform(sequence(1, greatest(size(w) - 4, 1)), i -> concat_ws(' ', slice(w, i, 5)))) as grams from (select doc_id, w from {documents} lateral view explode(array(filter(split(lower(text), '[^\\pL\\pN]+'), t -> t <> ''))) x as w) t) g lateral view explode(grams) e as gram",
     "oracle": r"select rid, unnest(grams) as gram, len(grams) as n from (select doc_id as rid, list_distinct(list_transform(range(1, greatest(len(w) - 4, 1) + 1), lambda i: array_to_string(list_slice(w, i, i + 4), ' '))) as grams from (select doc_id, list_filter(string_split_regex(lower(text), '[^\pL\pN]+'), lambda t: t <> '') as w from documents) t) g",
 }

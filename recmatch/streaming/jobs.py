@@ -114,23 +114,24 @@ def incremental(s, d):
 
 @query("st_stateful_canon", "select user_id, min(event_id) as canonical, count(*) as n from events group by user_id")
 def _(s, d):
-    """The first id seen of each key, kept as state that ends after a day without events."""
+    """The first id seen of each key, kept as state that ends after a day of event time without events."""
     from pyspark.sql.streaming.state import GroupStateTimeout
 
     def run(key, frames, state):
-        best, n = state.get if state.exists else (2**62, 0)
         if state.hasTimedOut:
             state.remove()
             return
         import pandas as pd
 
+        best, n = state.get if state.exists else (2**62, 0)
+        last = state.getCurrentWatermarkMs()
         for f in frames:
-            best, n = min(best, int(f["event_id"].min())), n + len(f)
+            best, n, last = min(best, int(f["event_id"].min())), n + len(f), max(last, int(f["ts"].max().timestamp() * 1000))
         state.update((best, n))
-        state.setTimeoutDuration(86_400_000)
+        state.setTimeoutTimestamp(last + 86_400_000)
         yield pd.DataFrame({"user_id": [key[0]], "canonical": [best], "n": [n]})
 
-    g = events(s, d).select("user_id", "event_id").groupBy("user_id").applyInPandasWithState(run, "user_id long, canonical long, n long", "best long, n long", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    g = events(s, d).withWatermark("ts", "1 hour").select("user_id", "event_id", "ts").groupBy("user_id").applyInPandasWithState(run, "user_id long, canonical long, n long", "best long, n long", "update", GroupStateTimeout.EventTimeTimeout)
     out = finish(g, "canon", "update")
     return out.groupBy("user_id").agg(F.min("canonical").alias("canonical"), F.max("n").alias("n"))
 

@@ -156,12 +156,12 @@ def bubble_rounds(n: int, k: int) -> list[list[tuple[int, int]]]:
 
 # Listwise
 
-def select(cands: DataFrame, j: Judge, opt_out: bool = False) -> DataFrame:
-    """anchor_id, choice (0: none), cand_id: one question a list."""
+def select(cands: DataFrame, j: Judge, opt_out: bool = False, by: tuple[str, ...] = ("anchor_id",)) -> DataFrame:
+    """anchor_id, choice (0: none), cand_id: one question a list. by: what tells lists apart, if an anchor has several."""
     w = cands.withColumn("worth", F.expr(j.worth("spark"))).withColumn("held", F.expr(j.held("spark")))
-    best = w.groupBy("anchor_id").agg(F.max_by(F.struct("pos", "cand_id"), F.struct("worth", -F.col("pos"))).alias("b"), F.max("held").alias("most"))
+    best = w.groupBy(*by).agg(F.max_by(F.struct("pos", "cand_id"), F.struct("worth", -F.col("pos"))).alias("b"), F.max("held").alias("most"))
     keep = F.col("most") >= j.least if opt_out else F.lit(True)
-    return best.select("anchor_id", F.when(keep, F.col("b.pos")).otherwise(F.lit(0)).cast("int").alias("choice"), F.when(keep, F.col("b.cand_id")).alias("cand_id"))
+    return best.select(*by, F.when(keep, F.col("b.pos")).otherwise(F.lit(0)).cast("int").alias("choice"), F.when(keep, F.col("b.cand_id")).alias("cand_id"))
 
 
 def select_then_verify(cands: DataFrame, j_sel: Judge, j_match: Judge) -> DataFrame:

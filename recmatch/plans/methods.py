@@ -421,9 +421,8 @@ _compound("compound_block_only", "block", LENIENT, LENIENT)
 def k_sweep(cands: DataFrame, jr: Judge, js: Judge, ks=range(1, 11)) -> DataFrame:
     """Rates for each k. The ranking is made once; each k is a slice of it."""
     ranked = S.rank_by_match(cands, jr).select("anchor_id", "cand_id", F.col("rank").cast("int").alias("pos"), "sim", "is_true")
-    lists = ranked.withColumn("k", F.explode(F.array(*map(F.lit, ks)))).filter("pos <= k").withColumn("real", F.col("anchor_id")).withColumn("anchor_id", F.col("anchor_id") * 100 + F.col("k"))
-    dec = S.select(lists.drop("real"), js, True).filter("cand_id is not null")
-    dec = dec.select((F.col("anchor_id") % 100).cast("int").alias("k"), F.floor(F.col("anchor_id") / 100).alias("anchor_id"), "cand_id")
+    lists = ranked.withColumn("k", F.explode(F.array(*map(F.lit, ks)))).filter("pos <= k")
+    dec = S.select(lists, js, True, ("anchor_id", "k")).filter("cand_id is not null")
     got = dec.join(cands.select("anchor_id", "cand_id", "is_true"), ["anchor_id", "cand_id"]).groupBy("k").agg(F.count_if("is_true").alias("tp"), F.count_if(~F.col("is_true")).alias("fp"))
     one = got.join(F.broadcast(cands.agg(F.count_if("is_true").alias("n")))).select("k", "tp", "fp", (F.col("n") - F.col("tp")).alias("fn"))
     return one.select("k", "tp", "fp", "fn", *A.rates(F.col("tp"), F.col("fp"), F.col("fn")))

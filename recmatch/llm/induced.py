@@ -133,7 +133,7 @@ def kinds(t: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     seed = np.zeros(n, bool)
     seed[1:] = s[1:] & ~s[:-1]
     seed[t == 0] = True
-    return s, seed, end - np.arange(n) + 1
+    return s, seed, (end - np.arange(n) + 1).astype(np.int32)
 
 
 def _least(lcp: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -366,7 +366,7 @@ def repeated(strings: list[bytes], most: int, spill: Spill | None = None, copies
     s, seed, run = kinds(t)
     first = _first(t)
     seeds = seed_order(t, s, seed, first, spill)
-    left = np.repeat(at[1:] - 1, size + 1) - np.arange(len(t))
+    left = (np.repeat(at[1:] - 1, size + 1) - np.arange(len(t))).astype(np.int32)
     with np.errstate(over="ignore"):
         up, down = np.full(len(t) + 1, BASE, np.uint64), np.full(len(t) + 1, pow(BASE, -1, 2**64), np.uint64)
         up[0] = down[0] = 1

@@ -7,7 +7,8 @@ where repeats can be, and nowhere else, without loss:
 1. Every window of `least` bytes picks an anchor, the leftmost least of its 100-byte fingerprints. Equal
    windows pick equal anchors. Neighbouring windows with one anchor form a stretch. Stretches whose
    anchor's fingerprint occurs once in the corpus hold no repeat.
-2. Equal stretches collapse to one with its number of copies. The others' bytes are fetched once.
+2. Equal stretches collapse to one with its number of copies; where an anchor has no other, its copies
+   repeat it whole. Else the distinct ones' bytes are fetched once.
 3. Stretches are dealt and ordered by anchor, cut into shards of bounded size between anchors, and each
    shard's suffixes are sorted with their common prefixes by external induced sorting (induced.py). A
    common prefix of `least` with a neighbour, or a copy of the stretch, marks a window.
@@ -31,7 +32,7 @@ from .induced import Spill, repeated
 from .jaccard import BITS, filtered
 from .shingles import BASE, INVERSE, mix, slices
 
-LEAST, GRAM, SHARD = 400, 100, 8 << 20
+LEAST, GRAM, SHARD = 400, 100, 4 << 20
 NULL_ID = -(2**63)
 
 
@@ -119,7 +120,7 @@ def stretches(docs: DataFrame, least: int) -> DataFrame:
     return docs.mapInArrow(run, "id long, x long, h array<long>, t array<long>, a array<long>, b array<long>")
 
 
-def marked(parts: DataFrame, least: int, where: str, shard: int = SHARD, budget: int = 256 << 20) -> DataFrame:
+def marked(parts: DataFrame, least: int, where: str, shard: int = SHARD, budget: int = 128 << 20) -> DataFrame:
     """h, t, spans (flat starts and ends within the stretch) of stretches (h, t, n, body) with repeated windows."""
 
     def run(batches):
@@ -212,7 +213,7 @@ def _rest(docs: DataFrame, ids: DataFrame, place, run, schema: str) -> DataFrame
     return docs.withColumn("_place", place).mapInArrow(others, schema)
 
 
-def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budget: int = 256 << 20) -> DataFrame:
+def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budget: int = 128 << 20) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of docs (doc_id, text)."""
     spark = docs.sparkSession
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("id"), F.col("text").cast("string").alias("text"))
@@ -237,12 +238,17 @@ def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budg
             cols = list(zip(*out)) or [()] * 4
             yield pa.RecordBatch.from_arrays([*(pa.array(v, pa.int64()) for v in cols[:3]), pa.array(cols[3], pa.binary())], names=["h", "t", "n", "body"])
 
+    # Where all stretches of an anchor are equal, there is nothing to order: each window of theirs is a repeat.
+    texts_of = one.groupBy("h").agg(F.count(F.lit(1)).alias("texts"))
+    alone = one.join(texts_of.filter("texts = 1").select("h"), "h", "left_semi").filter("n > 1").select("h", "t", F.array(F.lit(0), (F.col("b") - F.col("a")).cast("int")).alias("spans"))
+    one = one.join(texts_of.filter("texts > 1").select("h"), "h", "left_semi")
+
     wanted = one.groupBy("id").agg(F.collect_list(F.struct("x", "h", "t", "n", "a", "b")).alias("parts"))  # a document's own stretches
     texts = filtered(docs, wanted.select("id"))
     bodies = texts.join(wanted, "id").mapInArrow(fetch, "h long, t long, n long, body binary")
     shards = bodies.repartition("h").sortWithinPartitions("h", "t")
     found = stored(marked(shards, least, scratch(spark, "sort"), shard, budget), "marks")
-    back = rows.join(found, ["h", "t"]).select("id", "x", F.transform("spans", lambda v: (v + F.col("a")).cast("int")).alias("spans"))
+    back = rows.join(found.unionByName(alone), ["h", "t"]).select("id", "x", F.transform("spans", lambda v: (v + F.col("a")).cast("int")).alias("spans"))
     per_text = back.groupBy("id", "x").agg(F.flatten(F.collect_list("spans")).alias("spans"))  # a document's own spans
     out = cut(docs, per_text)
     return out.select(F.when(F.col("id") != NULL_ID, F.col("id")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")

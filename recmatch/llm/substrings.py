@@ -54,6 +54,13 @@ class Stretches:
             self.up[0] = self.down[0] = 1
             self.up, self.down = np.cumprod(self.up), np.cumprod(self.down)
 
+    def own(self, data: bytes) -> int:
+        """A document's hash alone, as `of` gives it, signed."""
+        raw = np.frombuffer(data, np.uint8)
+        self._powers(len(raw) + 1)
+        whole = (self.values[raw] * self.up[: len(raw)]).sum(dtype=np.uint64)
+        return int(mix(np.array([whole + np.uint64(len(raw))], np.uint64)).view(np.int64)[0])
+
     def of(self, data: np.ndarray, off: np.ndarray):
         """Each document's hash, and (document, anchor hash, stretch hash, first byte, end) of its stretches."""
         n, k, w = len(data), self.gram, self.least - self.gram + 1
@@ -169,8 +176,7 @@ def cut(docs: DataFrame, spans: DataFrame) -> DataFrame:
                     by = {x["x"]: x["spans"] for x in s} if s else {}
                     own = None
                     if by:
-                        raw = np.frombuffer(data, np.uint8)
-                        own = by.get(int(tool.of(raw, np.array([0, len(raw)]))[0].view(np.int64)[0]))
+                        own = by.get(tool.own(data))
                     a, b = merged(*np.array(own, np.int64).reshape(-1, 2).T) if own else (np.zeros(0, np.int64),) * 2
                     sha, at = hashlib.sha256(), 0
                     for p, q in zip(a.tolist(), b.tolist()):
@@ -232,8 +238,7 @@ def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budg
             out = []
             for text, parts in zip(c.column("text").to_pylist(), c.column("parts").to_pylist()):
                 data = (text or "").encode("utf-8", "surrogatepass")
-                raw = np.frombuffer(data, np.uint8)
-                x = int(tool.of(raw, np.array([0, len(raw)]))[0].view(np.int64)[0])
+                x = tool.own(data)
                 out += [(p["h"], p["t"], p["n"], data[p["a"] : p["b"]]) for p in parts if p["x"] == x]
             cols = list(zip(*out)) or [()] * 4
             yield pa.RecordBatch.from_arrays([*(pa.array(v, pa.int64()) for v in cols[:3]), pa.array(cols[3], pa.binary())], names=["h", "t", "n", "body"])

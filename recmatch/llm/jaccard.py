@@ -7,10 +7,10 @@ weighed against the candidates that the stricter count saves. A pair of document
 min(l, l') common prefix shingles, and enough of them that the rest could still reach the threshold; then
 it is verified exactly on whole shingle sets.
 
-Equal sets are one class and are joined once. Groups of near copies are not expanded into pairs: a first
-round verifies each member of a posting list against the list's smallest id only, and links what passes;
-the second round joins only posting lists that still hold two components, and only across components. The
-second round alone loses no link between components; the first only saves work.
+Equal sets are one class and are joined once. Groups of near copies are not expanded into pairs: rounds of
+stars verify the members of a posting list against one member only, another in each round, and link what
+passes, until the lists hold few pairs across components. Then all these pairs, and no others, are tried.
+This last step alone loses no link between components; the stars only save work.
 
 Result: n_shingles, the component's smallest doc_id, for every row. Null, empty and wordless texts: 0
 shingles, no links. Rows that share a doc_id are one node of the graph. Null ids are not linked; their
@@ -33,7 +33,7 @@ from .shingles import Words, mix, shingled, slices
 
 #: Shingles counted together when looking for frequent ones; how many of these are ordered by count at most; bits of a filter.
 CHUNK, FREQUENT, BITS = 1 << 22, 1 << 18, 26
-MOST_MATCHES, VERIFY_COST = 4, 0.05
+MOST_MATCHES, VERIFY_COST, MOST_ROUNDS = 4, 0.05, 6
 
 
 @dataclass(frozen=True)
@@ -145,7 +145,7 @@ def prefix(own: np.ndarray, order: np.ndarray, df: np.ndarray, rule: Rule) -> tu
 
 
 def prefixes(docs: DataFrame, ids: DataFrame, frequent: DataFrame, rule: Rule) -> DataFrame:
-    """token, id, n, p (prefix length), l of the documents that may be in ids."""
+    """id, n, p (prefix length), l, tokens of the documents that may be in ids."""
     spark = docs.sparkSession
     top = frequent.groupBy("h").agg(F.sum("c").alias("c")).filter("c >= 4").orderBy(F.desc("c"), "h").limit(FREQUENT).toArrow()
     h, c = top.column("h").to_numpy().view(np.uint64), top.column("c").to_numpy()
@@ -184,12 +184,11 @@ def prefixes(docs: DataFrame, ids: DataFrame, frequent: DataFrame, rule: Rule) -
             lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(p)]).astype(np.int32) if p else [0], pa.int32()), pa.array(np.concatenate(tokens) if tokens else [], pa.int64()))
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n, pa.int32()), pa.array(p, pa.int32()), pa.array(m, pa.int32()), lists], names=["id", "n", "p", "l", "tokens"])
 
-    rows = docs.mapInArrow(run, "id long, n int, p int, l int, tokens array<long>")
-    return rows.select(F.explode("tokens").alias("token"), "id", "n", "p", "l")
+    return docs.mapInArrow(run, "id long, n int, p int, l int, tokens array<long>")
 
 
 def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
-    """The pairs (a, b) that are links, by whole shingle sets. Only texts of documents in pairs are shuffled, packed."""
+    """a, b, d, the Jaccard distance, and good, whether they link, by whole shingle sets. Only texts of documents in pairs are shuffled, packed."""
     needed = stored(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "needed")
 
     def pack(batches):
@@ -210,15 +209,17 @@ def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
             unique = list(dict.fromkeys(b.column(2).to_pylist() + b.column(3).to_pylist()))
             texts = pa.RecordBatch.from_arrays([pa.array([tool.decompress(z) for z in unique], pa.binary()).cast(pa.string())], names=["text"])
             of = dict(zip(unique, (s for _, s in sets(texts, 0, words, rule.words))))
-            good = []
+            good, far = [], []
             for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
                 x, y = of[x], of[y]
                 both = len(np.intersect1d(x, y, assume_unique=True))
-                good.append(len(x) > 0 and len(y) > 0 and 100 * both >= rule.percent * (len(x) + len(y) - both))
-            yield b.select([0, 1]).filter(pa.array(good, pa.bool_()))
+                union = max(1, len(x) + len(y) - both)
+                far.append(1 - both / union)
+                good.append(both > 0 and 100 * both >= rule.percent * union)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(far, pa.float64()), pa.array(good, pa.bool_())], names=["a", "b", "d", "good"])
 
     both = pairs.join(bodies.select(F.col("id").alias("a"), F.col("z").alias("x")), "a").join(bodies.select(F.col("id").alias("b"), F.col("z").alias("y")), "b")
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long, d double, good boolean")
 
 
 def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
@@ -229,37 +230,94 @@ def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     first = held.groupBy("sig").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("copies"))
     same = stored(held.join(first.filter("copies > 1").drop("copies"), "sig").select(F.col("id").alias("a"), F.col("first").alias("b")).filter("a <> b").distinct(), "same")
     pre = stored(prefixes(docs, first.select("first"), frequent, rule), "prefixes")
-
-    # Round 1: posting lists as stars round their least id.
-    lists = pre.groupBy("token").agg(F.min(F.struct("id", "n", "p", "l")).alias("c"), F.max("id").alias("most")).filter("c.id < most").drop("most")
-    star = pre.join(lists, "token").filter("id <> c.id").groupBy(F.col("c.id").alias("a"), F.col("id").alias("b")).agg(F.count(F.lit(1)).alias("shared"), *_sizes("c.n", "c.p", "c.l", "n", "p", "l"))
-    star = stored(star.filter(_possible(rule)).select("a", "b"), "star")
-    links = stored(verify(docs, star, rule).union(same.select("b", "a")), "links")
-    comp = stored(components(links), "components")
-
-    # Round 2: what shares a posting list and is not yet in one component.
-    held_in = pre.join(comp.withColumnRenamed("component", "k"), "id", "left").withColumn("k", F.coalesce("k", "id"))
-    mixed = held_in.groupBy("token").agg(F.min("k").alias("x"), F.max("k").alias("y")).filter("x < y").select("token")
-    left = stored(held_in.join(mixed, "token"), "mixed")
-    x, y = left.alias("x"), left.alias("y")
-    cross = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.k") != F.col("y.k")) & (F.col("x.n") * 100 >= F.col("y.n") * rule.percent) & (F.col("y.n") * 100 >= F.col("x.n") * rule.percent))
-    cross = cross.groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count(F.lit(1)).alias("shared"), *_sizes("x.n", "x.p", "x.l", "y.n", "y.p", "y.l"))
-    cross = stored(cross.filter(_possible(rule)).select("a", "b").join(star, ["a", "b"], "left_anti"), "cross")
-    more = stored(verify(docs, cross, rule), "more")
-    if not more.isEmpty():
-        comp = stored(components(links.union(more)), "components")
+    sizes = pre.groupBy("id").agg(F.max("n").alias("n"), F.min("p").alias("p"), F.min("l").alias("l")) if _ids_repeat(pre) else pre.select("id", "n", "p", "l")
+
+    # Posting lists of two documents and more; most prefix shingles stand in one, and go before any join.
+    again = stored(pre.select(F.explode("tokens").alias("token")).groupBy("token").count().filter("count > 1").select("token"), "tokens")
+    lists = filtered(pre.select(F.explode("tokens").alias("id"), F.col("id").alias("doc")), again).select(F.col("id").alias("token"), F.col("doc").alias("id"))
+    lists = stored(lists.join(again, "token", "left_semi").distinct(), "lists")
+
+    links, tried, comp, left = same, None, None, lists.withColumn("k", F.col("id"))
+    for turn in range(MOST_ROUNDS):
+        # A star in every list round the document that comes first in this round's order.
+        order = F.xxhash64(F.lit(turn), "id") if turn else F.col("id")
+        placed = left.withColumn("o", order)
+        centre = placed.groupBy("token").agg(F.min_by("id", "o").alias("a"), F.min_by("k", "o").alias("ka"))
+        star = placed.join(centre, "token").filter("k <> ka").groupBy(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+        star = _likely(star, sizes, rule)
+        star = stored(star if tried is None else star.join(tried.select("a", "b"), ["a", "b"], "left_anti"), "star")
+        done = stored(verify(docs, star, rule), "tried")
+        good = done.filter("good").select("a", "b")
+        tried = done if tried is None else tried.union(done)
+        links = links.union(good)
+        if comp is None or not good.isEmpty():
+            comp = stored(components(links), "components").withColumnRenamed("component", "k")
+        left, crossing = _mixed(lists, comp)
+        if crossing <= 2 * MOST_ROUNDS * max(1, left.count()):
+            break
+
+    cross = _crossing(docs, left, sizes, stored(tried, "tried"), rule)
+    more = stored(verify(docs, cross, rule).filter("good").select("a", "b"), "more")
+    comp = comp.withColumnRenamed("k", "component") if more.isEmpty() else stored(components(links.union(more)), "components")
     return rows.join(comp, "id", "left").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"))
 
 
-def _sizes(*columns: str):
-    return [F.max(c).alias(name) for c, name in zip(columns, ("na", "pa", "la", "nb", "pb", "lb"))]
-
+def _crossing(docs: DataFrame, left: DataFrame, sizes: DataFrame, tried: DataFrame, rule: Rule) -> DataFrame:
+    """Pairs across components that share a list and may be links.
 
-def _possible(rule: Rule):
-    """Enough common prefix shingles for the smaller l, and for the overlap that the threshold asks."""
+    Documents stand in balls: each belongs to its linked neighbour with the most links, or is its own ball's centre.
+    Lists are joined by balls, not members. Jaccard distance is a metric: two balls whose centres are farther
+    apart than the threshold and both radii together hold no link between them, and are not opened; in
+    opened balls the same holds of two members and their own distances to the centres.
+    """
+    both = tried.filter("good").select("a", "b", "d").union(tried.filter("good").select("b", "a", "d"))
+    degree = both.groupBy("a").agg(F.count(F.lit(1)).alias("links"))
+    hub = both.join(degree.select(F.col("a").alias("b"), F.col("links").alias("other")), "b").groupBy("a").agg(F.max(F.struct("other", (-F.col("b")).alias("b"), "d")).alias("h"))
+    balls = stored(hub.join(degree, "a").filter("h.other > links or (h.other = links and -h.b < a)").select(F.col("a").alias("id"), (-F.col("h.b")).alias("c"), F.col("h.d").alias("r")), "balls")
+    rows = stored(left.join(balls, "id", "left").select("token", "id", F.coalesce("c", "id").alias("c"), F.coalesce("r", F.lit(0.0)).alias("r"), "k"), "rows")
+    radius = balls.groupBy("c").agg(F.max("r").alias("r"))
+    spots = rows.select("token", "c", "k").distinct()
+    x, y = spots.alias("x"), spots.alias("y")
+    pairs = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.c") < F.col("y.c")) & (F.col("x.k") != F.col("y.k"))).groupBy(F.col("x.c").alias("a"), F.col("y.c").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+    for c in "ab":
+        pairs = pairs.join(radius.select(F.col("c").alias(c), F.col("r").alias(f"r{c}")), c, "left")
+    pairs = stored(pairs.na.fill(0.0, ["ra", "rb"]), "balls")
+    known = tried.groupBy("a", "b").agg(F.min("d").alias("d"))
+    single = _likely(pairs.filter("ra = 0 and rb = 0").select("a", "b", "shared"), sizes, rule)
+    wide = pairs.filter("ra > 0 or rb > 0")
+    n = {c: sizes.select(F.col("id").alias(c), F.col("n").alias(f"n{c}")) for c in "ab"}
+    reach = F.lit(1 - rule.percent / 100 + 1e-9) + F.col("ra") + F.col("rb")
+    wide = wide.join(n["a"], "a").join(n["b"], "b").filter(1 - F.least("na", "nb") / F.greatest("na", "nb") <= reach)
+    wide = stored(wide.select("a", "b", "ra", "rb").join(known, ["a", "b"], "left"), "wide")
+    fresh = verify(docs, wide.filter("d is null").select("a", "b"), rule).groupBy("a", "b").agg(F.min("d").alias("e"))
+    wide = stored(wide.join(fresh, ["a", "b"], "left").withColumn("d", F.coalesce("d", "e", F.lit(0.0))).filter(F.col("d") <= reach).select("a", "b", "d"), "open")
+    x, y = (rows.select("token", F.col("id").alias(f"{c}_id"), F.col("r").alias(f"{c}_r"), F.col("c").alias(c)) for c in "ab")
+    near = F.col("d") <= F.lit(1 - rule.percent / 100 + 1e-9) + F.col("a_r") + F.col("b_r")
+    opened = wide.join(x, "a").join(y, ["token", "b"]).filter(near).groupBy(F.least("a_id", "b_id").alias("a"), F.greatest("a_id", "b_id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+    out = single.union(_likely(opened, sizes, rule)).distinct()
+    return stored(out.join(known.select("a", "b"), ["a", "b"], "left_anti"), "cross")
+
+
+def _ids_repeat(pre: DataFrame) -> bool:
+    return not pre.groupBy("id").count().filter("count > 1").isEmpty()
+
+
+def _mixed(lists: DataFrame, comp: DataFrame) -> tuple[DataFrame, int]:
+    """Lists that hold two components, with each document's component k; and how many pairs of components' members they hold."""
+    held = lists.join(comp, "id", "left").withColumn("k", F.coalesce("k", "id"))
+    parts = held.groupBy("token", "k").agg(F.count(F.lit(1)).alias("m")).groupBy("token").agg(F.sum("m").alias("all"), F.sum(F.col("m") * F.col("m")).alias("own"), F.count(F.lit(1)).alias("parts")).filter("parts > 1")
+    parts = stored(parts.select("token", ((F.col("all") * F.col("all") - F.col("own")) / 2).alias("pairs")), "parts")
+    crossing = parts.agg(F.sum("pairs")).first()[0] or 0
+    return stored(held.join(parts.select("token"), "token", "left_semi"), "mixed"), crossing
+
+
+def _likely(pairs: DataFrame, sizes: DataFrame, rule: Rule) -> DataFrame:
+    """Pairs (a, b, shared) with enough common prefix shingles for the smaller l, and for the overlap that the threshold asks."""
+    a, b = (sizes.select(F.col("id").alias(c), *(F.col(x).alias(f"{x}{c}") for x in ("n", "p", "l"))) for c in "ab")
+    both = pairs.join(a, "a").join(b, "b")
     most = F.col("shared") + F.greatest(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb"))
-    sizes = (F.col("na") * 100 >= F.col("nb") * rule.percent) & (F.col("nb") * 100 >= F.col("na") * rule.percent)
-    return sizes & (F.col("shared") >= F.least("la", "lb")) & ((100 + rule.percent) * most >= rule.percent * (F.col("na") + F.col("nb")))
+    close = (F.col("na") * 100 >= F.col("nb") * rule.percent) & (F.col("nb") * 100 >= F.col("na") * rule.percent)
+    return both.filter(close & (F.col("shared") >= F.least("la", "lb")) & ((100 + rule.percent) * most >= rule.percent * (F.col("na") + F.col("nb")))).select("a", "b")
 
 
 def op10_adaptive_prefixes(spark: SparkSession, sf_dir: str) -> DataFrame:

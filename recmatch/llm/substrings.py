@@ -4,7 +4,7 @@ A byte goes if a string of `least` bytes that covers it starts anywhere else too
 another. Sorting every suffix of a corpus would be wasteful: most text is unique. So suffixes are sorted
 where repeats can be, and nowhere else, without loss:
 
-1. Every window of `least` bytes picks an anchor, the leftmost least of its 100-byte fingerprints. Equal
+1. Every window of `least` bytes picks an anchor, the leftmost least of its 200-byte fingerprints. Equal
    windows pick equal anchors. Neighbouring windows with one anchor form a stretch. Stretches whose
    anchor's fingerprint occurs once in the corpus hold no repeat.
 2. Equal stretches collapse to one with its number of copies; where an anchor has no other, its copies
@@ -32,7 +32,7 @@ from .induced import Spill, repeated
 from .jaccard import BITS, filtered
 from .shingles import BASE, INVERSE, mix, slices
 
-LEAST, GRAM, SHARD = 400, 100, 4 << 20
+LEAST, GRAM, SHARD = 400, 200, 4 << 20
 NULL_ID = -(2**63)
 
 

@@ -9,7 +9,7 @@ it is verified exactly on whole shingle sets.
 
 Equal sets are one class and are joined once. Groups of near copies are not expanded into pairs: rounds of
 stars verify the members of a posting list against one member only, another in each round, and link what
-passes, until the lists hold few pairs across components. Then all these pairs, and no others, are tried.
+passes, until the lists hold few pairs across components, or a round leaves most of them. Then all these pairs, and no others, are tried.
 This last step alone loses no link between components; the stars only save work.
 
 Result: n_shingles, the component's smallest doc_id, for every row. Null, empty and wordless texts: 0
@@ -33,7 +33,7 @@ from .shingles import Words, mix, shingled, slices
 
 #: Shingles counted together when looking for frequent ones; how many of these are ordered by count at most; bits of a filter.
 CHUNK, FREQUENT, BITS = 1 << 22, 1 << 18, 26
-MOST_MATCHES, VERIFY_COST, MOST_ROUNDS = 4, 0.05, 6
+MOST_MATCHES, VERIFY_COST, MOST_ROUNDS, WORTH = 4, 0.05, 6, 0.7
 
 
 @dataclass(frozen=True)
@@ -237,7 +237,7 @@ def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     lists = filtered(pre.select(F.explode("tokens").alias("id"), F.col("id").alias("doc")), again).select(F.col("id").alias("token"), F.col("doc").alias("id"))
     lists = stored(lists.join(again, "token", "left_semi").distinct(), "lists")
 
-    links, tried, comp, left = same, None, None, lists.withColumn("k", F.col("id"))
+    links, tried, comp, left, before = same, None, None, lists.withColumn("k", F.col("id")), None
     for turn in range(MOST_ROUNDS):
         # A star in every list round the document that comes first in this round's order.
         order = F.xxhash64(F.lit(turn), "id") if turn else F.col("id")
@@ -253,8 +253,9 @@ def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
         if comp is None or not good.isEmpty():
             comp = stored(components(links), "components").withColumnRenamed("component", "k")
         left, crossing = _mixed(lists, comp)
-        if crossing <= 2 * MOST_ROUNDS * max(1, left.count()):
+        if crossing <= 2 * MOST_ROUNDS * max(1, left.count()) or (before is not None and crossing > WORTH * before):
             break
+        before = crossing
 
     cross = _crossing(docs, left, sizes, stored(tried, "tried"), rule)
     more = stored(verify(docs, cross, rule).filter("good").select("a", "b"), "more")

@@ -60,9 +60,11 @@ def cosine(a, b):
     return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
 
 
-def block_vectors(d1: DataFrame, d2: DataFrame, n: int = 10, planes: int = 0, seed: int = 5) -> DataFrame:
-    """Nearest vectors (rid, v) by cosine. planes: > 0 compares within buckets of random-hyperplane signs that differ in at most one."""
+def block_vectors(d1: DataFrame, d2: DataFrame, n: int = 10, planes: int = 0, seed: int = 5, reach: int = 1) -> DataFrame:
+    """Nearest vectors (rid, v) by cosine. planes: > 0 compares within buckets of random-hyperplane signs that differ in at most reach."""
     if planes:
+        from itertools import combinations
+
         import numpy as np
 
         rng = np.random.default_rng(seed)
@@ -71,7 +73,8 @@ def block_vectors(d1: DataFrame, d2: DataFrame, n: int = 10, planes: int = 0, se
         bit = lambda r: F.when(F.aggregate(F.zip_with("v", r, lambda p, q: p.cast("double") * q), F.lit(0.0), lambda s, v: s + v) > 0, 1).otherwise(0)
         code = sum((bit(r) * 2**i for i, r in enumerate(signs)), F.lit(0))
         d2 = d2.withColumn("bucket", code)
-        near = F.array(F.col("code"), *(F.col("code").bitwiseXOR(F.lit(2**i)) for i in range(planes)))
+        masks = [sum(2**i for i in differ) for k in range(min(reach, planes) + 1) for differ in combinations(range(planes), k)]
+        near = F.array(*(F.col("code").bitwiseXOR(F.lit(m)) for m in masks))
         d1 = d1.withColumn("code", code).withColumn("bucket", F.explode(near)).drop("code")
         both = d1.alias("a").join(d2.alias("b"), "bucket")
     else:

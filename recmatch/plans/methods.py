@@ -471,7 +471,7 @@ def _(s, d):
 
 @query("block_vector_lsh")
 def _(s, d):
-    return B.block_vectors(*_vectors(s, d), planes=4)
+    return B.block_vectors(*_vectors(s, d), planes=4, reach=3)
 
 
 _brute_sql = f", sc as (select c.rid as anchor_id, d2.rid as cand_id, cast(len(list_intersect(c.t, d2.t)) as double) as block_score from (select rid, {B.tokens_of(WORKLOADS['w7'], 'oracle')} as t from picked) c, (select rid, {B.tokens_of(WORKLOADS['w7'], 'oracle')} as t from d2) d2) "

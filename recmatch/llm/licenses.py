@@ -1,10 +1,13 @@
 """Licence scan by a positional index of rare tokens.
 
 Templates are short licence notices. Of each, the words with the highest IDF over all documents form the
-index: word, template, position. A document looks up its own highest-IDF licence words; postings whose
+index: word, template, position. A document looks up every index word it holds; postings whose
 relative position agrees mark a place where the template may start; there the template is compared word by
 word, and its key phrases must stand in that stretch. The score is the best share of words that agree.
 
+A template has two index words more than words that may differ, so two agree wherever the score is reached:
+the result is that of comparing every template at every place.
+
 DataFrame functions only. Words are runs of characters other than ASCII signs and blanks, A-Z
 lower-cased. Null, empty and wordless texts: no words, no places, empty label strings, score 0. Repeated
 rows are rows of their own. Extra columns are ignored.
@@ -12,6 +15,8 @@ rows are rows of their own. Extra columns are ignored.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -38,7 +43,7 @@ TEMPLATES = (
     ("cc0-1.0", "dedicated to the public domain under cc0 1 0", ("cc0 1 0",)),
 )
 SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-RARE_OF_TEMPLATE, RARE_OF_FILE, LEAST_SCORE = 4, 12, 0.8
+RARE_OF_TEMPLATE, LEAST_SCORE = 4, 0.8
 
 
 def tokens(text: Column) -> Column:
@@ -52,8 +57,13 @@ def vocabulary() -> list[str]:
 
 
 def anchors() -> list[str]:
-    """Words of which every template and base phrase has one; a file without any of them has no licence."""
-    return ["license", "cc", "cc0", "reserved", "permission", "redistribution"]
+    """Words of which every base phrase has one, and every template one in a key phrase; a file without any of them has no licence."""
+    return ["license", "cc", "cc0", "reserved", "hereby", "binary", "commons"]
+
+
+def index_words(n: int) -> int:
+    """Index words of a template of n words: two more than may differ, RARE_OF_TEMPLATE at least."""
+    return max(RARE_OF_TEMPLATE, n - math.ceil(LEAST_SCORE * n) + 2)
 
 
 def places(words: Column, phrase: str) -> Column:
@@ -71,10 +81,10 @@ def places(words: Column, phrase: str) -> Column:
 
 def index(spark: SparkSession, idf: DataFrame) -> DataFrame:
     """Positional postings of each template's rarest words: word, template, position. As small as the templates."""
-    rows = [(n, i, w) for n, (_, t, _) in enumerate(TEMPLATES) for i, w in enumerate(t.split())]
-    post = spark.createDataFrame(rows, "template int, position int, word string").join(F.broadcast(idf), "word", "left").fillna({"idf": 99.0})
-    ranked = post.groupBy("template").agg(F.sort_array(F.collect_list(F.struct((-F.col("idf")).alias("r"), "word", "position"))).alias("p"))
-    return ranked.select("template", F.explode(F.slice("p", 1, RARE_OF_TEMPLATE)).alias("p")).select("template", "p.word", "p.position")
+    rows = [(n, index_words(len(t.split())), i, w) for n, (_, t, _) in enumerate(TEMPLATES) for i, w in enumerate(t.split())]
+    post = spark.createDataFrame(rows, "template int, size int, position int, word string").join(F.broadcast(idf), "word", "left").fillna({"idf": 99.0})
+    ranked = post.groupBy("template", "size").agg(F.sort_array(F.collect_list(F.struct((-F.col("idf")).alias("r"), "word", "position"))).alias("p"))
+    return ranked.select("template", F.explode(F.slice("p", F.lit(1), F.col("size"))).alias("p")).select("template", "p.word", "p.position")
 
 
 def scan(docs: DataFrame) -> DataFrame:
@@ -82,22 +92,19 @@ def scan(docs: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     words = docs.select(F.col("doc_id").cast("long").alias("doc_id"), tokens(F.col("text").cast("string")).alias("w"))
     known = F.arrays_overlap("w", F.array(*map(F.lit, anchors())))
-    files = words.select(F.monotonically_increasing_id().alias("row_no"), "doc_id", F.size("w").cast("long").alias("n_words"), F.when(known, F.col("w")).alias("w"))
+    vocab = F.array(*map(F.lit, vocabulary()))
+    files = words.select(F.monotonically_increasing_id().alias("row_no"), "doc_id", F.size("w").cast("long").alias("n_words"), F.when(known, F.col("w")).alias("w"), F.array_intersect("w", vocab).alias("of_vocab"))
     files = stored(files, "files")
     held = files.filter("w is not null")
 
-    # IDF over all documents of the licence vocabulary; words of no file with an anchor can be in no notice.
+    # IDF over all documents of the licence vocabulary, whether or not they have an anchor.
     rows = files.count()
-    vocab = F.array(*map(F.lit, vocabulary()))
-    df = held.select(F.explode(F.array_intersect("w", vocab)).alias("word")).groupBy("word").count()
+    df = files.select(F.explode("of_vocab").alias("word")).groupBy("word").count()
     idf = stored(df.select("word", F.log(F.lit(float(rows or 1)) / F.col("count")).alias("idf")), "idf")
     post = stored(index(spark, idf), "postings")
 
-    own = held.select("row_no", F.posexplode("w").alias("i", "word")).join(F.broadcast(idf), "word")
-    best = own.select("row_no", "word", "idf").distinct().groupBy("row_no").agg(F.sort_array(F.collect_list(F.struct((-F.col("idf")).alias("r"), "word"))).alias("b"))  # a row a licence word, so bounded
-    best = best.select("row_no", F.slice(F.col("b")["word"], 1, RARE_OF_FILE).alias("rarest"))
-    hits = own.join(best, "row_no").filter(F.array_contains("rarest", F.col("word")))
-    hits = hits.join(F.broadcast(post), "word").select("row_no", "template", (F.col("i") - F.col("position")).alias("start"), "position")
+    own = held.select("row_no", F.posexplode("w").alias("i", "word"))
+    hits = own.join(F.broadcast(post), "word").select("row_no", "template", (F.col("i") - F.col("position")).alias("start"), "position")
     starts = hits.groupBy("row_no", "template", "start").agg(F.count_distinct("position").alias("agree"))
 
     table = spark.createDataFrame([(n, label, t.split(), [f" {p} " for p in phrases]) for n, (label, t, phrases) in enumerate(TEMPLATES)], "template int, label string, t array<string>, phrases array<string>")

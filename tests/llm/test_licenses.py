@@ -1,3 +1,4 @@
+import itertools
 import random
 import re
 
@@ -45,3 +46,38 @@ def test_base_and_labels(spark, tiny):
         if r.doc_id in notices:
             assert r.labels == notices[r.doc_id][1], r
     assert L.scan(docs.limit(0)).count() == 0
+
+
+def notice_labels(text):
+    """Every template at every place, without an index."""
+    w = W.findall("".join(c.lower() if "A" <= c <= "Z" else c for c in text or ""))
+    found, best = set(), 0.0
+    for label, t, phrases in L.TEMPLATES:
+        t = t.split()
+        for i in range(len(w)):
+            part = w[i : i + len(t)]
+            score = sum(a == b for a, b in zip(part, t)) / len(t)
+            if score >= L.LEAST_SCORE and all(f" {p} " in f" {' '.join(part)} " for p in phrases):
+                found.add(label)
+                best = max(best, score)
+    return found, best
+
+
+def test_notices_equal_brute_force(spark):
+    rng = random.Random(11)
+    texts = ["\n".join(a + " ." for _, a, _ in pair) for pair in itertools.product(L.TEMPLATES, repeat=2)]
+    texts += [" ".join(t for _, t, _ in L.TEMPLATES), "Redistributions and use" + L.TEMPLATES[7][1][len("redistribution and use") :], " ".join(L.vocabulary()) + " " + L.TEMPLATES[4][1]]
+    for _ in range(200):  # notices with some words replaced, among other words of the vocabulary
+        w = []
+        for _, t, _ in rng.sample(L.TEMPLATES, rng.randint(1, 3)):
+            part = t.split()
+            for k in rng.sample(range(len(part)), min(len(part), rng.randint(0, 4))):
+                part[k] = "zzz"
+            w += rng.choices(L.vocabulary(), k=rng.randint(0, 20)) + part
+        texts.append(" ".join(w))
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(4)
+    got = {r.doc_id: r for r in L.scan(docs).collect()}
+    for i, t in enumerate(texts):
+        found, score = notice_labels(t)
+        assert set(got[i].labels.split(",")) - {""} == found | set(brute(t)[4].split(",")) - {""}, t
+        assert abs(got[i].score - score) < 1e-9, t

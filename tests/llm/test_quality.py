@@ -1,6 +1,8 @@
+import base64
 import random
 import re
 
+import pyarrow.parquet as pq
 from recmatch.llm import quality as Q
 
 W = re.compile(r"[^\x20\x09-\x0D]+")
@@ -43,3 +45,21 @@ def test_spark(spark, tiny):
     assert q.count() == docs.count() and kept.columns == docs.columns
     assert kept.count() == q.filter("kept").count()
     assert Q.quality(docs.limit(0)).count() == 0
+
+
+def test_bands_tell_junk_from_text(tiny):
+    model, rng = Q.Fertility(Q.vocabulary()), random.Random(3)
+    word = lambda letters, a, b: "".join(rng.choices(letters, k=rng.randint(a, b)))
+    make = {
+        "hex": lambda: word("0123456789abcdef", 2, 8), "hex lines": lambda: word("0123456789abcdef", 32, 32), "digits": lambda: word("0123456789", 2, 8),
+        "base64": lambda: base64.b64encode(rng.randbytes(48)).decode(), "symbols": lambda: word("#*$%&|<>!?@^~+=-", 2, 8),
+        "consonants": lambda: word("bcdfghjklmnpqrstvwxz", 3, 9), "letters": lambda: word("abcdefghijklmnopqrstuvwxyz", 3, 9),
+    }
+    for name, f in make.items():
+        texts = [" ".join(f() for _ in range(150)) for _ in range(10)]
+        for lang in ("en", "fr", "de", "es", None):
+            if lang == "en" or name != "letters" and not (lang is None and name == "consonants"):
+                assert not any(r[6] for r in Q.judge_all(texts, [lang] * 10, model)), (name, lang)
+    docs = pq.read_table(f"{tiny}/documents.parquet", columns=["text", "lang"]).to_pylist()
+    out = [r for r in Q.judge_all([d["text"] for d in docs], [d["lang"] for d in docs], model) if not r[5]]
+    assert len(out) > 100 and sum(r[6] for r in out) >= 0.98 * len(out)

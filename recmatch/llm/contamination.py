@@ -5,7 +5,8 @@ whole item. Items are therefore partitioned by size: class c holds items of more
 2**c shingles. For each class a document is cut into blocks of 2**c shingles, and each two neighbouring
 blocks are a window: an item's passage lies in one, and takes a fixed share of it, so the containment
 bound becomes a Jaccard bound of about 0.19, which 64 MinHash values with bands of one row miss with a
-chance of about one in a million. Candidates are verified exactly: the share of the item's distinct
+chance of about one in a million. Items of few shingles would be too small a share of the smallest
+windows: all their shingles are looked up as they are, which misses nothing. Candidates are verified exactly: the share of the item's distinct
 five-word shingles that the whole document holds is at least 0.8.
 
 Windows whose values miss a bitmap of fixed size, made from the items' values, never leave their task.
@@ -27,6 +28,8 @@ from .shingles import Words, mix, shingled, slices
 
 WORDS, SHARE, VALUES, BITS = 5, 0.8, 64, 24
 MIN_CLASS, MAX_CLASS = 3, 24
+#: Items of so many distinct shingles at most are looked up by each shingle, not by MinHash.
+DIRECT = 4
 MATCH = "doc_id long, item_id long, n_item_shingles long, n_shared long, containment double"
 
 
@@ -48,7 +51,7 @@ def _bits(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def item_table(items: DataFrame) -> DataFrame:
-    """item_no, item_id, kind (class, or minus the words of a short item), shingles (distinct, u64), keys."""
+    """item_no, item_id, kind (class, or minus the words of a shingle that is looked up as it is), shingles (distinct, u64), keys."""
 
     def run(batches):
         tool, steps = Words("plain"), _steps()
@@ -66,6 +69,9 @@ def item_table(items: DataFrame) -> DataFrame:
                         kind = -n
                         own = shingled(h[first[i] : first[i + 1]], np.array([0, n]), n)[0]
                         keys = _key(kind + 100, 0, own)
+                    elif len(own) <= DIRECT:
+                        kind = -WORDS
+                        keys = _key(kind + 100, 0, own)
                     else:
                         kind = size_class(len(own))
                         keys = np.array([_key(kind, j, (own * steps[2 * j] + steps[2 * j + 1]).min(keepdims=True))[0] for j in range(VALUES)])

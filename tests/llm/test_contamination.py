@@ -77,3 +77,20 @@ def test_empty(spark):
     d, i = spark.createDataFrame([(1, "a b c d e f")], "doc_id long, text string"), spark.createDataFrame([(1, "a b c d e f")], "item_id long, text string")
     assert C.contained(d.limit(0), i).count() == 0 and C.contained(d, i.limit(0)).count() == 0 and C.contained(d, i).count() == 1
     assert np.isclose(C.contained(d, i).first().containment, 1)
+
+
+def test_short_items_are_never_missed(spark):
+    rng = random.Random(9)
+    filler = lambda n: [f"f{rng.randint(0, 10**6)}" for _ in range(n)]
+    docs, items = [], []
+    for n in (5, 6, 7, 8):
+        words = [f"item{n}x{k}" for k in range(n)]
+        items.append((n, " ".join(words)))
+        for i in range(600):
+            at = 0 if i % 2 else rng.randint(0, 60)
+            docs.append((1000 * n + i, " ".join(filler(at) + words + filler(60))))
+    items.append((30, "w " * 30))
+    docs += [(9000, "w " * 6), (9001, "w " * 4)]
+    d, i = spark.createDataFrame(docs, "doc_id long, text string").repartition(4), spark.createDataFrame(items, "item_id long, text string")
+    got = {(r.doc_id, r.item_id) for r in C.contained(d, i).collect()}
+    assert got == {(x, x // 1000) for x, _ in docs if x < 9000} | {(9000, 30)}

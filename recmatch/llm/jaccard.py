@@ -7,10 +7,10 @@ weighed against the candidates that the stricter count saves. A pair of document
 min(l, l') common prefix shingles, and enough of them that the rest could still reach the threshold; then
 it is verified exactly on whole shingle sets.
 
-Equal sets are one class and are joined once. Groups of near copies are not expanded into pairs: rounds of
-stars verify the members of a posting list against one member only, another in each round, and link what
-passes, until the lists hold few pairs across components, or a round leaves most of them. Then all these pairs, and no others, are tried.
-This last step alone loses no link between components; the stars only save work.
+Equal sets are one class and are joined once. Groups of near copies are not expanded into pairs: stars verify
+the members of a posting list against two members only, and link what passes. Then all pairs across components are tried: those of short lists as rows, those of long lists in
+blocks of documents that meet in a task. This last step alone loses no link between components; the stars
+only save work.
 
 Result: n_shingles, the component's smallest doc_id, for every row. Null, empty and wordless texts: 0
 shingles, no links. Rows that share a doc_id are one node of the graph. Null ids are not linked; their
@@ -33,7 +33,9 @@ from .shingles import Words, mix, shingled, slices
 
 #: Shingles counted together when looking for frequent ones; how many of these are ordered by count at most; bits of a filter.
 CHUNK, FREQUENT, BITS = 1 << 22, 1 << 18, 26
-MOST_MATCHES, VERIFY_COST, MOST_ROUNDS, WORTH = 4, 0.05, 6, 0.7
+MOST_MATCHES, VERIFY_COST = 4, 0.05
+#: Lists of more documents go to blocks; documents a block and shingles a block, on average.
+SHORT, BLOCK, WEIGHT = 16, 384, 1 << 19
 
 
 @dataclass(frozen=True)
@@ -97,30 +99,40 @@ def profiles(docs: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
     return both.filter("sig is not null").select("id", "n", "sig"), both.filter("h is not null").select("h", "c")
 
 
-def bitmap(ids: DataFrame, bits: int = BITS) -> bytes:
-    """A filter of fixed size of the ids of a one-column table; never misses one."""
-    place = F.pmod(F.xxhash64(ids[ids.columns[0]]), F.lit(2**bits))
-    byte = ids.select(place.alias("p")).groupBy(F.shiftright("p", 3).alias("at")).agg(F.bit_or(F.expr("shiftleft(1, cast(p % 8 as int))")).alias("v"))
-    out = np.zeros(2 ** (bits - 3), np.uint8)
-    for part in byte.toArrow().to_batches():
+def bitmap(places: DataFrame, bits: int = BITS) -> bytes:
+    """A filter of fixed size of a one-column table of places below 2**bits; never misses one. At most 2**(bits - 6) rows reach the driver."""
+    p = F.col(places.columns[0])
+    words = places.groupBy(F.shiftright(p, 6).cast("int").alias("at")).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(`{places.columns[0]}` % 64 as int))")).alias("v"))
+    out = np.zeros(2 ** (bits - 6), np.int64)
+    for part in words.toArrow().to_batches():
         out[part.column(0).to_numpy()] = part.column(1).to_numpy()
     return out.tobytes()
 
 
-def filtered(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of docs (id, text, ...) whose id may be among ids; a cheap narrow step before a join."""
-    if ids.isEmpty():
-        return docs.limit(0)
-    sent = docs.sparkSession.sparkContext.broadcast(bitmap(ids))
+def place(column: str = "id"):
+    return F.pmod(F.xxhash64(column), F.lit(2**BITS))
 
-    def run(batches):
-        bits = np.frombuffer(sent.value, np.uint8)
+
+def among(bits: np.ndarray, p: np.ndarray) -> np.ndarray:
+    """Which places a filter holds."""
+    return (bits[p >> 6] >> (p & 63) & 1).astype(bool)
+
+
+def only(docs: DataFrame, ids: DataFrame, run, schema: str, inside: bool = True) -> DataFrame:
+    """run over the rows of docs (id, ...) whose id may be among ids, or with `inside` false over all others, in one Python step."""
+    sent = docs.sparkSession.sparkContext.broadcast(bitmap(ids.select(place(ids.columns[0]).alias("p"))))
+
+    def picked(batches):
+        bits = np.frombuffer(sent.value, np.int64)
         for b in batches:
-            p = b.column(b.num_columns - 1).to_numpy()
-            yield b.filter(pa.array((bits[p >> 3] >> (p & 7) & 1).astype(bool)))
+            yield b.filter(pa.array(among(bits, b.column(b.num_columns - 1).to_numpy()) == inside))
 
-    placed = docs.withColumn("_place", F.pmod(F.xxhash64("id"), F.lit(2**BITS)))
-    return placed.mapInArrow(run, placed.schema).drop("_place")
+    return docs.withColumn("_place", place()).mapInArrow(lambda batches: run(picked(batches)), schema)
+
+
+def filtered(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """Rows of docs (id, ...) whose id may be among ids; a cheap narrow step before a join."""
+    return only(docs, ids, lambda batches: batches, docs.withColumn("_place", place()).schema).drop("_place")
 
 
 def prefix(own: np.ndarray, order: np.ndarray, df: np.ndarray, rule: Rule) -> tuple[np.ndarray, int]:
@@ -151,7 +163,6 @@ def prefixes(docs: DataFrame, ids: DataFrame, frequent: DataFrame, rule: Rule) -
     h, c = top.column("h").to_numpy().view(np.uint64), top.column("c").to_numpy()
     at = np.argsort(h)
     sent = spark.sparkContext.broadcast((h[at].tobytes(), c[at].astype(np.int64).tobytes()))
-    docs = filtered(docs, ids)
 
     def run(batches):
         known, count = (np.frombuffer(x, t) for x, t in zip(sent.value, (np.uint64, np.int64)))
@@ -184,12 +195,28 @@ def prefixes(docs: DataFrame, ids: DataFrame, frequent: DataFrame, rule: Rule) -
             lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(p)]).astype(np.int32) if p else [0], pa.int32()), pa.array(np.concatenate(tokens) if tokens else [], pa.int64()))
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n, pa.int32()), pa.array(p, pa.int32()), pa.array(m, pa.int32()), lists], names=["id", "n", "p", "l", "tokens"])
 
-    return docs.mapInArrow(run, "id long, n int, p int, l int, tokens array<long>")
+    return only(docs, ids, run, "id long, n int, p int, l int, tokens array<long>")
 
 
-def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
-    """a, b, d, the Jaccard distance, and good, whether they link, by whole shingle sets. Only texts of documents in pairs are shuffled, packed."""
-    needed = stored(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "needed")
+def postings(pre: DataFrame) -> DataFrame:
+    """(token, id) of prefix shingles that two documents and more hold; most stand in one, and go before any join."""
+    again = stored(pre.select(F.explode("tokens").alias("token")).groupBy("token").count().filter("count > 1").select("token"), "tokens")
+    low = 2**BITS - 1
+    sent = pre.sparkSession.sparkContext.broadcast(bitmap(again.select(F.col("token").bitwiseAND(low).alias("p"))))
+
+    def run(batches):
+        bits = np.frombuffer(sent.value, np.int64)
+        for b in batches:
+            tokens = b.column(1).flatten().to_numpy(zero_copy_only=False)
+            ids = np.repeat(b.column(0).to_numpy(zero_copy_only=False), b.column(1).value_lengths().to_numpy(zero_copy_only=False))
+            keep = among(bits, tokens & low)
+            yield pa.RecordBatch.from_arrays([pa.array(tokens[keep], pa.int64()), pa.array(ids[keep], pa.int64())], names=["token", "id"])
+
+    return stored(pre.select("id", "tokens").mapInArrow(run, "token long, id long").join(again, "token", "left_semi").distinct(), "lists")
+
+
+def packed(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """(id, z), compressed texts, of the documents in ids (id); only these are shuffled."""
 
     def pack(batches):
         import zstandard
@@ -198,28 +225,36 @@ def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([tool.compress((t or "").encode("utf-8", "surrogatepass")) for t in b.column(1).to_pylist()], pa.binary())], names=["id", "z"])
 
-    packed = filtered(docs, needed).mapInArrow(pack, "id long, z binary").distinct()
-    bodies = stored(packed.join(needed, "id", "left_semi"), "bodies")
+    return stored(only(docs, ids, pack, "id long, z binary").distinct().join(ids, "id", "left_semi"), "bodies")
+
+
+def unpacked(z: list, rule: Rule) -> dict:
+    """Shingle sets by compressed text."""
+    import zstandard
+
+    tool, unique = zstandard.ZstdDecompressor(), list(dict.fromkeys(z))
+    texts = pa.RecordBatch.from_arrays([pa.array([tool.decompress(x) for x in unique], pa.binary()).cast(pa.string())], names=["text"])
+    return dict(zip(unique, (s for _, s in sets(texts, 0, Words("blank"), rule.words))))
 
-    def run(batches):
-        import zstandard
 
-        tool, words = zstandard.ZstdDecompressor(), Words("blank")
+def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
+    """a, b and good, whether they link by whole shingle sets."""
+    if pairs.isEmpty():
+        return pairs.withColumn("good", F.lit(True))
+    bodies = packed(docs, stored(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "needed"))
+
+    def run(batches):
         for b in batches:
-            unique = list(dict.fromkeys(b.column(2).to_pylist() + b.column(3).to_pylist()))
-            texts = pa.RecordBatch.from_arrays([pa.array([tool.decompress(z) for z in unique], pa.binary()).cast(pa.string())], names=["text"])
-            of = dict(zip(unique, (s for _, s in sets(texts, 0, words, rule.words))))
-            good, far = [], []
-            for x, y in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
-                x, y = of[x], of[y]
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                union = max(1, len(x) + len(y) - both)
-                far.append(1 - both / union)
-                good.append(both > 0 and 100 * both >= rule.percent * union)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(far, pa.float64()), pa.array(good, pa.bool_())], names=["a", "b", "d", "good"])
+            x, y = b.column(2).to_pylist(), b.column(3).to_pylist()
+            of, good = unpacked(x + y, rule), []
+            for s, t in zip(x, y):
+                s, t = of[s], of[t]
+                both = len(np.intersect1d(s, t, assume_unique=True))
+                good.append(both > 0 and 100 * both >= rule.percent * (len(s) + len(t) - both))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(good, pa.bool_())], names=["a", "b", "good"])
 
     both = pairs.join(bodies.select(F.col("id").alias("a"), F.col("z").alias("x")), "a").join(bodies.select(F.col("id").alias("b"), F.col("z").alias("y")), "b")
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long, d double, good boolean")
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long, good boolean")
 
 
 def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
@@ -227,89 +262,126 @@ def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     docs = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
     rows, frequent = profiles(docs, rule)
     held = rows.filter("id is not null and n > 0")
-    first = held.groupBy("sig").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("copies"))
+    first = stored(held.groupBy("sig").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("copies")), "classes")
     same = stored(held.join(first.filter("copies > 1").drop("copies"), "sig").select(F.col("id").alias("a"), F.col("first").alias("b")).filter("a <> b").distinct(), "same")
     pre = stored(prefixes(docs, first.select("first"), frequent, rule), "prefixes")
     sizes = pre.groupBy("id").agg(F.max("n").alias("n"), F.min("p").alias("p"), F.min("l").alias("l")) if _ids_repeat(pre) else pre.select("id", "n", "p", "l")
-
-    # Posting lists of two documents and more; most prefix shingles stand in one, and go before any join.
-    again = stored(pre.select(F.explode("tokens").alias("token")).groupBy("token").count().filter("count > 1").select("token"), "tokens")
-    lists = filtered(pre.select(F.explode("tokens").alias("id"), F.col("id").alias("doc")), again).select(F.col("id").alias("token"), F.col("doc").alias("id"))
-    lists = stored(lists.join(again, "token", "left_semi").distinct(), "lists")
-
-    links, tried, comp, left, before = same, None, None, lists.withColumn("k", F.col("id")), None
-    for turn in range(MOST_ROUNDS):
-        # A star in every list round the document that comes first in this round's order.
-        order = F.xxhash64(F.lit(turn), "id") if turn else F.col("id")
-        placed = left.withColumn("o", order)
-        centre = placed.groupBy("token").agg(F.min_by("id", "o").alias("a"), F.min_by("k", "o").alias("ka"))
-        star = placed.join(centre, "token").filter("k <> ka").groupBy(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
-        star = _likely(star, sizes, rule)
-        star = stored(star if tried is None else star.join(tried.select("a", "b"), ["a", "b"], "left_anti"), "star")
-        done = stored(verify(docs, star, rule), "tried")
-        good = done.filter("good").select("a", "b")
-        tried = done if tried is None else tried.union(done)
-        links = links.union(good)
-        if comp is None or not good.isEmpty():
-            comp = stored(components(links), "components").withColumnRenamed("component", "k")
-        left, crossing = _mixed(lists, comp)
-        if crossing <= 2 * MOST_ROUNDS * max(1, left.count()) or (before is not None and crossing > WORTH * before):
-            break
-        before = crossing
-
-    cross = _crossing(docs, left, sizes, stored(tried, "tried"), rule)
-    more = stored(verify(docs, cross, rule).filter("good").select("a", "b"), "more")
-    comp = comp.withColumnRenamed("k", "component") if more.isEmpty() else stored(components(links.union(more)), "components")
+    lists = postings(pre)
+
+    # In every list, a star round the document of the smallest id and one round that of the smallest hash.
+    centre = lists.groupBy("token").agg(F.min("id").alias("a"), F.min_by("id", F.xxhash64("id")).alias("c"))
+    star = lists.join(centre, "token").select("id", F.explode(F.array_distinct(F.array("a", "c"))).alias("a")).filter("id <> a")
+    star = star.groupBy(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+    tried = stored(verify(docs, stored(_likely(star, sizes, rule), "star"), rule), "tried")
+    links = same.union(tried.filter("good").select("a", "b"))
+    comp = stored(components(links), "components")
+    left = _mixed(lists, comp)
+
+    few = left.filter(F.col("size") <= SHORT)
+    x, y = few.alias("x"), few.alias("y")
+    pairs = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.k") != F.col("y.k"))).groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+    pairs = stored(_likely(pairs, sizes, rule).join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
+    more = verify(docs, pairs, rule).filter("good").select("a", "b")
+    more = stored(more.union(_blocks(docs, left.filter(F.col("size") > SHORT), sizes, rule)), "more")
+    if not more.isEmpty():
+        comp = stored(components(links.union(more)), "components")
     return rows.join(comp, "id", "left").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"))
 
 
-def _crossing(docs: DataFrame, left: DataFrame, sizes: DataFrame, tried: DataFrame, rule: Rule) -> DataFrame:
-    """Pairs across components that share a list and may be links.
+def _blocks(docs: DataFrame, hot: DataFrame, sizes: DataFrame, rule: Rule) -> DataFrame:
+    """Links (a, b) that join components, of documents that share a long list (token, id, k).
 
-    Documents stand in balls: each belongs to its linked neighbour with the most links, or is its own ball's centre.
-    Lists are joined by balls, not members. Jaccard distance is a metric: two balls whose centres are farther
-    apart than the threshold and both radii together hold no link between them, and are not opened; in
-    opened balls the same holds of two members and their own distances to the centres.
+    Lists with one first document are one group: near copies share many lists, and are compared once, not once a list.
+    In a group, whoever is not of its largest component is compared with everybody of other components. Both are cut
+    into blocks of bounded size, and two blocks meet in one task, which counts all their overlaps as products of
+    matrices. No pair becomes a row: a task returns one link for components that it joins.
     """
-    both = tried.filter("good").select("a", "b", "d").union(tried.filter("good").select("b", "a", "d"))
-    degree = both.groupBy("a").agg(F.count(F.lit(1)).alias("links"))
-    hub = both.join(degree.select(F.col("a").alias("b"), F.col("links").alias("other")), "b").groupBy("a").agg(F.max(F.struct("other", (-F.col("b")).alias("b"), "d")).alias("h"))
-    balls = stored(hub.join(degree, "a").filter("h.other > links or (h.other = links and -h.b < a)").select(F.col("a").alias("id"), (-F.col("h.b")).alias("c"), F.col("h.d").alias("r")), "balls")
-    rows = stored(left.join(balls, "id", "left").select("token", "id", F.coalesce("c", "id").alias("c"), F.coalesce("r", F.lit(0.0)).alias("r"), "k"), "rows")
-    radius = balls.groupBy("c").agg(F.max("r").alias("r"))
-    spots = rows.select("token", "c", "k").distinct()
-    x, y = spots.alias("x"), spots.alias("y")
-    pairs = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.c") < F.col("y.c")) & (F.col("x.k") != F.col("y.k"))).groupBy(F.col("x.c").alias("a"), F.col("y.c").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
-    for c in "ab":
-        pairs = pairs.join(radius.select(F.col("c").alias(c), F.col("r").alias(f"r{c}")), c, "left")
-    pairs = stored(pairs.na.fill(0.0, ["ra", "rb"]), "balls")
-    known = tried.groupBy("a", "b").agg(F.min("d").alias("d"))
-    single = _likely(pairs.filter("ra = 0 and rb = 0").select("a", "b", "shared"), sizes, rule)
-    wide = pairs.filter("ra > 0 or rb > 0")
-    n = {c: sizes.select(F.col("id").alias(c), F.col("n").alias(f"n{c}")) for c in "ab"}
-    reach = F.lit(1 - rule.percent / 100 + 1e-9) + F.col("ra") + F.col("rb")
-    wide = wide.join(n["a"], "a").join(n["b"], "b").filter(1 - F.least("na", "nb") / F.greatest("na", "nb") <= reach)
-    wide = stored(wide.select("a", "b", "ra", "rb").join(known, ["a", "b"], "left"), "wide")
-    fresh = verify(docs, wide.filter("d is null").select("a", "b"), rule).groupBy("a", "b").agg(F.min("d").alias("e"))
-    wide = stored(wide.join(fresh, ["a", "b"], "left").withColumn("d", F.coalesce("d", "e", F.lit(0.0))).filter(F.col("d") <= reach).select("a", "b", "d"), "open")
-    x, y = (rows.select("token", F.col("id").alias(f"{c}_id"), F.col("r").alias(f"{c}_r"), F.col("c").alias(c)) for c in "ab")
-    near = F.col("d") <= F.lit(1 - rule.percent / 100 + 1e-9) + F.col("a_r") + F.col("b_r")
-    opened = wide.join(x, "a").join(y, ["token", "b"]).filter(near).groupBy(F.least("a_id", "b_id").alias("a"), F.greatest("a_id", "b_id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
-    out = single.union(_likely(opened, sizes, rule)).distinct()
-    return stored(out.join(known.select("a", "b"), ["a", "b"], "left_anti"), "cross")
+    centre = hot.groupBy("token").agg(F.min("id").alias("c"))
+    rows = stored(hot.join(centre, "token").select("c", "id", "k").distinct().join(sizes.select("id", "n"), "id"), "groups")
+    by_part = rows.groupBy("c", "k").agg(F.count(F.lit(1)).alias("m"), F.sum("n").alias("n"))
+    blocks = lambda m, n: F.ceil(F.greatest(m / BLOCK, n / WEIGHT)).cast("int")
+    groups = by_part.groupBy("c").agg(F.max(F.struct("m", "n", "k")).alias("most"), F.sum("m").alias("m"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("parts")).filter("parts > 1")
+    groups = stored(groups.select("c", F.col("most.k").alias("major"), blocks(F.col("m") - F.col("most.m"), F.col("n") - F.col("most.n")).alias("others"), blocks(F.col("most.m"), F.col("most.n")).alias("own")), "blocks")
+    placed = rows.join(groups, "c").withColumn("major", F.col("k") == F.col("major"))
+    slot = F.pmod(F.xxhash64("id"), F.when(F.col("major"), F.col("own")).otherwise(F.col("others"))).cast("int") + F.when(F.col("major"), F.col("others")).otherwise(0)
+    meets = F.sequence(F.lit(0), F.when(F.col("major"), F.col("others")).otherwise(F.col("others") + F.col("own")) - 1)
+    dealt = placed.withColumn("slot", slot).select("c", "id", "k", "slot", F.explode(meets).alias("other"))
+    dealt = dealt.select("c", F.least("slot", "other").alias("i"), F.greatest("slot", "other").alias("j"), "id", "k", "slot")
+    if groups.isEmpty():
+        return rows.limit(0).select(F.col("c").alias("a"), F.col("id").alias("b"))
+    bodies = packed(docs, stored(placed.select("id").distinct(), "needed"))
+
+    def run(t: pa.Table) -> pa.Table:
+        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        z, slots = t.column("z").to_pylist(), t.column("slot").to_numpy()
+        of = unpacked(z, rule)
+        ids, k = t.column("id").to_numpy(), t.column("k").to_numpy()
+        x, y = np.flatnonzero(slots == i), np.flatnonzero(slots == j)
+        a, b = joining([of[z[r]] for r in x], [of[z[r]] for r in y], k[x], k[y], rule)
+        return pa.table({"a": pa.array(ids[x[a]], pa.int64()), "b": pa.array(ids[y[b]], pa.int64())})
+
+    return dealt.join(bodies, "id").groupBy("c", "i", "j").applyInArrow(run, "a long, b long")
+
+
+def overlaps(x: list[np.ndarray], y: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """Sizes of the intersections of all sets of x with all of y."""
+    out = np.zeros((len(x), len(y)), np.int64)
+    if not len(x) or not len(y):
+        return out
+    rows = [np.repeat(np.arange(len(s)), [len(v) for v in s]) for s in (x, y)]
+    _, col = np.unique(np.concatenate([*x, *y]), return_inverse=True)
+    cols = np.split(col, [len(rows[0])])
+    shared = np.intersect1d(*(np.unique(c) for c in cols), assume_unique=True)
+    sides = []
+    for r, c in zip(rows, cols):
+        at = np.minimum(np.searchsorted(shared, c), max(0, len(shared) - 1))
+        hit = shared[at] == c if len(shared) else np.zeros(len(c), bool)
+        r, c = r[hit], at[hit]
+        order = np.argsort(c, kind="stable")
+        sides.append((r[order], c[order]))
+    for first in range(0, len(shared), width):
+        part = []
+        for (r, c), n in zip(sides, out.shape):
+            i, j = np.searchsorted(c, (first, first + width))
+            m = np.zeros((n, min(width, len(shared) - first)), np.float32)
+            m[r[i:j], c[i:j] - first] = 1
+            part.append(m)
+        out += (part[0] @ part[1].T).astype(np.int64)
+    return out
+
+
+def joining(x: list[np.ndarray], y: list[np.ndarray], kx: np.ndarray, ky: np.ndarray, rule: Rule) -> tuple[np.ndarray, np.ndarray]:
+    """Places (in x, in y) of links that join components, no more than it takes to join them."""
+    both = overlaps(x, y)
+    size = [np.array([len(v) for v in s], np.int64) for s in (x, y)]
+    good = (both > 0) & (100 * both >= rule.percent * (size[0][:, None] + size[1][None, :] - both)) & (kx[:, None] != ky[None, :])
+    a, b = np.nonzero(good)
+    _, one = np.unique(np.stack([np.minimum(kx[a], ky[b]), np.maximum(kx[a], ky[b])]), axis=1, return_index=True) if len(a) else (None, np.zeros(0, np.int64))
+    up: dict = {}
+
+    def top(v):
+        while up.setdefault(v, v) != v:
+            up[v] = v = up[up[v]]
+        return v
+
+    kept = []
+    for n in one.tolist():
+        p, q = top(int(kx[a[n]])), top(int(ky[b[n]]))
+        if p != q:
+            up[p] = q
+            kept.append(n)
+    return a[kept], b[kept]
 
 
 def _ids_repeat(pre: DataFrame) -> bool:
     return not pre.groupBy("id").count().filter("count > 1").isEmpty()
 
 
-def _mixed(lists: DataFrame, comp: DataFrame) -> tuple[DataFrame, int]:
-    """Lists that hold two components, with each document's component k; and how many pairs of components' members they hold."""
-    held = lists.join(comp, "id", "left").withColumn("k", F.coalesce("k", "id"))
-    parts = held.groupBy("token", "k").agg(F.count(F.lit(1)).alias("m")).groupBy("token").agg(F.sum("m").alias("all"), F.sum(F.col("m") * F.col("m")).alias("own"), F.count(F.lit(1)).alias("parts")).filter("parts > 1")
-    parts = stored(parts.select("token", ((F.col("all") * F.col("all") - F.col("own")) / 2).alias("pairs")), "parts")
-    crossing = parts.agg(F.sum("pairs")).first()[0] or 0
-    return stored(held.join(parts.select("token"), "token", "left_semi"), "mixed"), crossing
+def _mixed(lists: DataFrame, comp: DataFrame) -> DataFrame:
+    """token, id, k (the document's component), size of lists that hold two components."""
+    held = lists.join(comp.withColumnRenamed("component", "k"), "id", "left").withColumn("k", F.coalesce("k", "id"))
+    parts = held.groupBy("token", "k").agg(F.count(F.lit(1)).alias("m")).groupBy("token").agg(F.sum("m").alias("size"), F.count(F.lit(1)).alias("parts")).filter("parts > 1")
+    return stored(held.join(stored(parts.select("token", "size"), "parts"), "token"), "mixed")
 
 
 def _likely(pairs: DataFrame, sizes: DataFrame, rule: Rule) -> DataFrame:
@@ -326,9 +398,18 @@ def op10_adaptive_prefixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def one_of_each(docs: DataFrame, rule: Rule = Rule(5, 80)) -> DataFrame:
-    """docs without the documents whose component has a smaller doc_id; columns unchanged."""
-    gone = near(docs, rule).filter("component_id < doc_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(stored(gone, "gone"), docs["doc_id"].cast("long") == F.col("_gone"), "left_anti")
+    """One row of each group of near copies, that of the smallest doc_id (nulls last); columns unchanged.
+
+    Rows are told apart, not ids: rows that repeat an id or have none are documents of their own. Rows without words
+    are linked with nothing and stay.
+    """
+    row, kept = (f"_{x}_{'_'.join(docs.columns)}"[:200] for x in ("row", "kept"))  # no column has such a name
+    docs = stored(docs.withColumn(row, F.monotonically_increasing_id()), "rows")
+    found = near(docs.select(F.col(row).alias("doc_id"), "text"), rule).select(F.col("doc_id").alias("r"), F.col("component_id").alias("k"))
+    many = stored(found.filter("r <> k").select("k").distinct(), "groups")
+    members = found.join(many, "k").join(docs.select(F.col(row).alias("r"), F.col("doc_id").alias("d")), "r")
+    gone = members.join(members.groupBy("k").agg(F.min(F.struct(F.col("d").isNull(), "d", "r")).alias("best")), "k").filter("r <> best.r")
+    return docs.join(stored(gone.select(F.col("r").alias(kept)), "gone"), F.col(row) == F.col(kept), "left_anti").drop(row)
 
 
 __all__ = ["Rule", "mix", "near", "one_of_each", "op10_adaptive_prefixes", "prefix"]

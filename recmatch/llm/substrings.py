@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .common import documents, open_fs, scratch, stored
 from .induced import Spill, repeated
-from .jaccard import BITS, filtered
+from .jaccard import filtered, only
 from .shingles import BASE, INVERSE, mix, slices
 
 LEAST, GRAM, SHARD = 400, 200, 4 << 20
@@ -192,31 +192,11 @@ def cut(docs: DataFrame, spans: DataFrame) -> DataFrame:
     # One row an id: its texts' spans, each with the text's hash.
     by_id = spans.groupBy("id").agg(F.collect_list(F.struct("x", "spans")).alias("spans"))
     known = stored(by_id, "spans")
-    place = F.pmod(F.xxhash64("id"), F.lit(2**BITS))
+    if known.isEmpty():
+        return docs.mapInArrow(rewrite(False), schema)
     may = filtered(docs, known.select("id"))
     hit = may.join(known, "id", "left").mapInArrow(rewrite(True), schema)
-    return _rest(docs, known.select("id"), place, rewrite(False), schema).unionByName(hit)
-
-
-def _rest(docs: DataFrame, ids: DataFrame, place, run, schema: str) -> DataFrame:
-    """What filtered() leaves out."""
-    from .jaccard import bitmap
-
-    if ids.isEmpty():
-        return docs.mapInArrow(run, schema)
-    sent = docs.sparkSession.sparkContext.broadcast(bitmap(ids))
-
-    def others(batches):
-        bits = np.frombuffer(sent.value, np.uint8)
-
-        def kept():
-            for b in batches:
-                p = b.column(2).to_numpy()
-                yield b.filter(pa.array((bits[p >> 3] >> (p & 7) & 1) == 0))
-
-        yield from run(kept())
-
-    return docs.withColumn("_place", place).mapInArrow(others, schema)
+    return only(docs, known.select("id"), rewrite(False), schema, inside=False).unionByName(hit)
 
 
 def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budget: int = 128 << 20) -> DataFrame:

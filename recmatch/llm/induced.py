@@ -27,16 +27,20 @@ RECENT = 1 << 15
 
 
 class Spill:
-    """Where runs go: a folder of a pyarrow file system, or memory files if there is none."""
+    """Where runs go: a folder of a pyarrow file system, or memory files if there is none. A file holds a run of each bucket, side by side."""
 
     def __init__(self, fs=None, folder: str | None = None, budget: int = 256 << 20):
         self.fs, self.folder, self.budget, self.used, self.written = fs, folder, budget, 0, 0
         self.memory: dict[str, bytes] = {}
 
-    def write(self, arrays: list[np.ndarray]) -> str:
-        out = io.BytesIO()
-        for a in arrays:
-            np.save(out, a, allow_pickle=False)
+    def write(self, runs: list[list[np.ndarray]]) -> tuple[str, list[tuple[int, int]]]:
+        """The file's name, and where in it each run lies."""
+        out, spots = io.BytesIO(), []
+        for arrays in runs:
+            at = out.tell()
+            for a in arrays:
+                np.save(out, a, allow_pickle=False)
+            spots.append((at, out.tell() - at))
         name = uuid.uuid4().hex
         self.written += out.tell()
         if self.fs is None:
@@ -44,19 +48,29 @@ class Spill:
         else:
             self.fs.create_dir(self.folder)
             with self.fs.open_output_stream(f"{self.folder}/{name}") as f:
-                f.write(out.getvalue())
-        return name
+                f.write(out.getbuffer())
+        return name, spots
 
-    def read(self, name: str, n: int) -> list[np.ndarray]:
+    def read(self, name: str, at: int, size: int, n: int) -> list[np.ndarray]:
         if self.fs is None:
-            data = self.memory.pop(name)
+            data = self.memory[name][at : at + size]
         else:
-            with self.fs.open_input_stream(f"{self.folder}/{name}") as f:
-                data = f.read()
-            self.fs.delete_file(f"{self.folder}/{name}")
+            with self.fs.open_input_file(f"{self.folder}/{name}") as f:
+                f.seek(at)
+                data = f.read(size)
         src = io.BytesIO(data)
         return [np.load(src, allow_pickle=False) for _ in range(n)]
 
+    def drop(self, name: str) -> None:
+        if self.fs is None:
+            del self.memory[name]
+        else:
+            self.fs.delete_file(f"{self.folder}/{name}")
+
+
+class Run(tuple):
+    """Where a bucket's run lies: file, first byte, size."""
+
 
 class Queue:
     """A monotone priority queue of tuples over keys 0 to `keys` - 1, in blocks."""
@@ -66,6 +80,7 @@ class Queue:
         self.buckets: list[list] = [[] for _ in range(-(-keys // width))]
         self.recent: list[tuple] = []
         self.held = self.n_recent = 0
+        self.left: dict[str, int] = {}
 
     def push(self, *columns: np.ndarray) -> None:
         """Tuples, key first, in the order they were made. Small pushes wait together, to be dealt out at once."""
@@ -94,18 +109,27 @@ class Queue:
             buckets[k].append([c[i:j] for c in columns])
 
     def flush(self) -> None:
-        for bucket in self.buckets:
-            parts = [p for p in bucket if not isinstance(p, str)]
-            if parts:  # the last run of a bucket that was written before stays before it
-                done = [p for p in bucket if isinstance(p, str)]
-                bucket[:] = [*done, self.spill.write([np.concatenate(c) for c in zip(*parts)])]
+        """What the buckets hold becomes one file; a bucket's earlier runs stay before the new one."""
+        full = [k for k, bucket in enumerate(self.buckets) if any(not isinstance(p, Run) for p in bucket)]
+        if full:
+            name, spots = self.spill.write([[np.concatenate(c) for c in zip(*(p for p in self.buckets[k] if not isinstance(p, Run)))] for k in full])
+            for k, spot in zip(full, spots):
+                self.buckets[k] = [*(p for p in self.buckets[k] if isinstance(p, Run)), Run((name, *spot))]
+            self.left[name] = len(full)
         self.spill.used -= self.held
         self.held = 0
 
+    def _read(self, run: Run) -> list[np.ndarray]:
+        got = self.spill.read(*run, self.columns)
+        self.left[run[0]] -= 1
+        if not self.left[run[0]]:
+            self.spill.drop(run[0])
+        return got
+
     def pop(self, b: int) -> list[np.ndarray] | None:
         bucket, self.buckets[b] = self.buckets[b], []
-        parts = [self.spill.read(p, self.columns) if isinstance(p, str) else p for p in bucket]
-        freed = sum(x.nbytes for p, q in zip(parts, bucket) if not isinstance(q, str) for x in p)
+        parts = [self._read(p) if isinstance(p, Run) else p for p in bucket]
+        freed = sum(x.nbytes for p, q in zip(parts, bucket) if not isinstance(q, Run) for x in p)
         if self.recent:
             columns = [np.concatenate(c) for c in zip(*self.recent)] if len(self.recent) > 1 else list(self.recent[0])
             own = columns[0] < (b + 1) * self.width  # nothing below this bucket is left

@@ -9,13 +9,19 @@ where repeats can be, and nowhere else, without loss:
    anchor's fingerprint occurs once in the corpus hold no repeat.
 2. Equal stretches collapse to one with its number of copies; where an anchor has no other, its copies
    repeat it whole. Else the distinct ones' bytes are fetched once.
-3. Stretches are dealt and ordered by anchor, cut into shards of bounded size between anchors, and each
-   shard's suffixes are sorted with their common prefixes by external induced sorting (induced.py). A
-   common prefix of `least` with a neighbour, or a copy of the stretch, marks a window.
+3. Equal windows have their anchor at one place, so a stretch falls into pieces by the windows' distance to
+   the anchor, and a piece is known by its core, the bytes that all its windows hold: 334 of 400. Equal
+   windows lie in pieces of equal cores. Pieces are dealt and ordered by core. Cores of one piece hold no
+   repeat; the others are cut into shards of bounded size between cores, and each shard's suffixes are
+   sorted with their common prefixes by external induced sorting (induced.py). A common prefix of `least`
+   with a neighbour, or a copy of the piece, marks a window.
+   Anchors with more than MANY different stretches would fill a task: their pieces are single windows, all
+   core, for which equal cores say everything; they are counted by core, without bytes.
 4. Marks go back to all stretches, and the documents are rewritten.
 
-Null texts are empty, and nothing is removed from texts shorter than `least`. Documents may share ids;
-rows with equal id and text are documents of their own, each other's repeats. Extra columns are ignored.
+Texts, stretches and cores are told apart by fingerprints of 64 bits. Null texts are empty, and nothing is
+removed from texts shorter than `least`. Documents may share ids or have none; rows with equal id and text
+are documents of their own, each other's repeats. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,10 +36,11 @@ from pyspark.sql import functions as F
 from .common import documents, open_fs, scratch, stored
 from .induced import Spill, repeated
 from .jaccard import filtered, only
-from .shingles import BASE, INVERSE, mix, slices
+from .shingles import BASE, INVERSE, MIX1, mix, slices
 
-LEAST, GRAM, SHARD = 400, 200, 4 << 20
-NULL_ID = -(2**63)
+LEAST, GRAM, SHARD = 400, 200, 2 << 20
+#: Different stretches of an anchor beyond which its pieces are single windows; bytes of a sort's queues in memory.
+MANY, BUDGET = 1 << 14, 4 << 20
 
 
 def _table() -> np.ndarray:
@@ -44,7 +51,7 @@ class Stretches:
     """Windows' anchors and stretches of the documents of a slice."""
 
     def __init__(self, least: int = LEAST, gram: int = GRAM):
-        self.least, self.gram, self.values = least, min(gram, least), _table()
+        self.least, self.gram, self.values = least, min(gram, max(1, least // 2)), _table()
         self.up = self.down = np.ones(1, np.uint64)
 
     def _powers(self, n: int) -> None:
@@ -62,7 +69,7 @@ class Stretches:
         return int(mix(np.array([whole + np.uint64(len(raw))], np.uint64)).view(np.int64)[0])
 
     def of(self, data: np.ndarray, off: np.ndarray):
-        """Each document's hash, and (document, anchor hash, stretch hash, first byte, end) of its stretches."""
+        """Each document's hash, and (document, anchor hash, stretch hash, first byte, end, anchor's first byte) of its stretches."""
         n, k, w = len(data), self.gram, self.least - self.gram + 1
         self._powers(n + 1)
         total = np.zeros(n + 1, np.uint64)
@@ -90,7 +97,7 @@ class Stretches:
         a, b = start[head], start[tail] + self.least
         th = mix((total[b] - total[a]) * self.down[a] + (b - a).astype(np.uint64))
         d = doc[head]
-        return own, (d, grams[anchor[head]], th, a - off[d], b - off[d])
+        return own, (d, grams[anchor[head]], th, a - off[d], b - off[d], anchor[head] - off[d])
 
 
 def merged(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -103,12 +110,13 @@ def merged(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def stretches(docs: DataFrame, least: int) -> DataFrame:
-    """id, x (hash of the text), h, t, a, b: arrays, one row a document that has windows."""
+    """id, x (hash of the text), h, t, a, b, p: arrays, one row a document that has windows."""
+    names, kinds = ("h", "t", "a", "b", "p"), (np.int64, np.int64, np.int32, np.int32, np.int32)
 
     def run(batches):
         tool = Stretches(least)
         for c in batches:
-            ids, xs, cols, sizes = [], [], [[], [], [], []], []
+            ids, xs, cols, sizes = [], [], [[] for _ in names], []
             for data, off, row in slices(c.column(1)):
                 own, got = tool.of(data, off)
                 if got is None:
@@ -118,46 +126,117 @@ def stretches(docs: DataFrame, least: int) -> DataFrame:
                 ids += [c.column(0)[int(row + i)].as_py() for i in which]
                 xs.append(own[which])
                 sizes.append(n)
-                for x, y in zip(cols, rest):
-                    x.append(y)
+                for x, y, kind in zip(cols, rest, kinds):
+                    x.append(y.view(np.int64).astype(kind, copy=False))
             ends = pa.array(np.concatenate([[0], np.cumsum(np.concatenate(sizes))]).astype(np.int32) if sizes else [0], pa.int32())
-            lists = [pa.ListArray.from_arrays(ends, pa.array(np.concatenate(x).astype(np.uint64).view(np.int64) if x else [], pa.int64())) for x in cols]
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(np.concatenate(xs).view(np.int64) if xs else [], pa.int64()), *lists], names=["id", "x", "h", "t", "a", "b"])
+            lists = [pa.ListArray.from_arrays(ends, pa.array(np.concatenate(x) if x else np.zeros(0, kind))) for x, kind in zip(cols, kinds)]
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(np.concatenate(xs).view(np.int64) if xs else [], pa.int64()), *lists], names=["id", "x", *names])
 
-    return docs.mapInArrow(run, "id long, x long, h array<long>, t array<long>, a array<long>, b array<long>")
+    return docs.mapInArrow(run, "id long, x long, h array<long>, t array<long>, a array<int>, b array<int>, p array<int>")
 
 
-def marked(parts: DataFrame, least: int, where: str, shard: int = SHARD, budget: int = 128 << 20) -> DataFrame:
-    """h, t, spans (flat starts and ends within the stretch) of stretches (h, t, n, body) with repeated windows."""
+def hashed(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """id, x, text of the documents whose id may be among ids."""
+
+    def run(batches):
+        tool = Stretches()
+        for b in batches:
+            x = [tool.own(t.encode("utf-8", "surrogatepass") if t else b"") for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.int64()), b.column(1)], names=["id", "x", "text"])
+
+    return only(docs, ids, run, "id long, x long, text string")
+
+
+def joined(texts: DataFrame, more: DataFrame) -> DataFrame:
+    """texts (id, x, ...) with more (id, x, ...); null ids are equal."""
+    more = more.withColumnsRenamed({"id": "_id", "x": "_x"})
+    return texts.join(more, F.col("id").eqNullSafe(F.col("_id")) & (F.col("x") == F.col("_x"))).drop("_id", "_x")
+
+
+def pieces(texts: DataFrame, least: int, piece: int) -> DataFrame:
+    """h, t, n, c (hash of anchor, place and core), at (the piece's first byte in its stretch), body of the pieces of texts (text, parts)."""
+
+    def run(batches):
+        values = _table()
+        up = np.full(least + 1, BASE, np.uint64)
+        up[0] = 1
+        up = np.cumprod(up)
+        for c in batches:
+            out = []
+            for text, parts in zip(c.column("text").to_pylist(), c.column("parts").to_pylist()):
+                data = (text or "").encode("utf-8", "surrogatepass")
+                for p in parts:
+                    # Distances of windows to their anchor, from `first` down to `last`; a piece's lie in one class.
+                    first, last = p["p"] - p["a"], p["p"] - p["b"] + least
+                    for k in range(last // piece, first // piece + 1):
+                        high, low = min(first, (k + 1) * piece - 1), max(last, k * piece)
+                        core = np.frombuffer(data, np.uint8)[p["p"] - k * piece : p["p"] - (k + 1) * piece + 1 + least]
+                        h = (values[core] * up[: len(core)]).sum(dtype=np.uint64) + np.uint64(k) * np.uint64(MIX1) + np.uint64(p["h"] % 2**64)
+                        out.append((p["h"], p["t"], p["n"], h, p["p"] - high - p["a"], data[p["p"] - high : p["p"] - low + least] if piece > 1 else None))
+            cols = list(zip(*out)) or [()] * 6
+            c = mix(np.array(cols[3], np.uint64)).view(np.int64)
+            yield pa.RecordBatch.from_arrays([*(pa.array(v, pa.int64()) for v in cols[:3]), pa.array(c), pa.array(cols[4], pa.int32()), pa.array(cols[5], pa.binary())], names=["h", "t", "n", "c", "at", "body"])
+
+    return texts.select("text", "parts").mapInArrow(run, "h long, t long, n long, c long, at int, body binary")
+
+
+def marked(parts: DataFrame, least: int, where: str, shard: int = SHARD, budget: int = BUDGET) -> DataFrame:
+    """h, t, spans (flat starts and ends within the stretch) of repeated windows of pieces, which come ordered by c."""
 
     def run(batches):
         fs, root = open_fs(where)
-        held, size, last = [], 0, None
+        held, size = [], 0
 
-        def flush():
-            spill = Spill(fs, f"{root}/runs", budget)
-            flags = repeated([r[3] for r in held], least, spill, [r[2] > 1 for r in held])
+        def found(rows, flags):
             out = []
-            for (h, t, _, _), f in zip(held, flags):
-                at = np.flatnonzero(f)
-                if len(at):
-                    a, b = merged(at, at + least)
-                    out.append((h, t, np.stack([a, b], 1).ravel().tolist()))
+            for (h, t, _, _, at, body), f in zip(rows, flags):
+                if (at_ := np.flatnonzero(f)).size:
+                    a, b = merged(at_, at_ + least)
+                    out.append((h, t, (np.stack([a, b], 1).ravel() + at).tolist()))
             c = list(zip(*out)) or [()] * 3
             return pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.list_(pa.int32()))], names=["h", "t", "spans"])
 
+        def sort():
+            """Pieces of equal bytes are one string."""
+            bodies: dict[bytes, int] = {}
+            for r in held:
+                bodies[r[5]] = bodies.get(r[5], 0) + r[2]
+            flags = dict(zip(bodies, repeated(list(bodies), least, Spill(fs, f"{root}/runs", budget), [n > 1 for n in bodies.values()])))
+            return found(held, [flags[r[5]] for r in held])
+
+        group: list = []
+
+        def close():
+            """What a core's pieces hold, at once or in the next shard."""
+            nonlocal size
+            if len({r[5] for r in group}) > 1:
+                held.extend(group)
+                size += sum(len(r[5]) for r in group)
+            elif sum(r[2] for r in group) > 1:
+                return found(group, [np.arange(len(r[5])) <= len(r[5]) - least for r in group])
+
         for b in batches:
             for r in zip(*(c.to_pylist() for c in b.columns)):
-                if size >= shard and r[0] != last:
-                    yield flush()
-                    held, size = [], 0
-                held.append(r)
-                size += len(r[3])
-                last = r[0]
+                if group and r[3] != group[0][3]:
+                    if (out := close()) is not None:
+                        yield out
+                    group = []
+                    if size >= shard:
+                        yield sort()
+                        held, size = [], 0
+                group.append(r)
+        if group and (out := close()) is not None:
+            yield out
         if held:
-            yield flush()
+            yield sort()
 
-    return parts.select("h", "t", "n", "body").mapInArrow(run, "h long, t long, spans array<int>")
+    return parts.select("h", "t", "n", "c", "at", "body").mapInArrow(run, "h long, t long, spans array<int>")
+
+
+def counted(parts: DataFrame, least: int) -> DataFrame:
+    """h, t, spans of repeated windows of pieces that are single windows."""
+    cores = parts.groupBy("c").agg(F.sum("n").alias("all")).filter("all > 1").select("c")
+    return parts.join(stored(cores, "cores"), "c", "left_semi").select("h", "t", F.array(F.col("at"), (F.col("at") + least).cast("int")).alias("spans"))
 
 
 def cut(docs: DataFrame, spans: DataFrame) -> DataFrame:
@@ -165,78 +244,59 @@ def cut(docs: DataFrame, spans: DataFrame) -> DataFrame:
     schema = "id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
     names = [c.split()[0] for c in schema.split(", ")]
 
-    def rewrite(joined: bool):
-        def run(batches):
-            tool = Stretches()
-            for c in batches:
-                rows = []
-                lists = c.column("spans").to_pylist() if joined else [None] * len(c)
-                for i, text, s in zip(c.column(0).to_pylist(), c.column(1).to_pylist(), lists):
-                    data = (text or "").encode("utf-8", "surrogatepass")
-                    by = {x["x"]: x["spans"] for x in s} if s else {}
-                    own = None
-                    if by:
-                        own = by.get(tool.own(data))
-                    a, b = merged(*np.array(own, np.int64).reshape(-1, 2).T) if own else (np.zeros(0, np.int64),) * 2
-                    sha, at = hashlib.sha256(), 0
-                    for p, q in zip(a.tolist(), b.tolist()):
-                        sha.update(data[at:p])
-                        at = q
-                    sha.update(data[at:])
-                    rows.append((i, len(data), int((b - a).sum()), len(a), sha.hexdigest()))
-                cols = list(zip(*rows)) or [()] * 5
-                yield pa.RecordBatch.from_arrays([*(pa.array(x, pa.int64()) for x in cols[:4]), pa.array(cols[4], pa.string())], names=names)
-
-        return run
-
-    # One row an id: its texts' spans, each with the text's hash.
-    by_id = spans.groupBy("id").agg(F.collect_list(F.struct("x", "spans")).alias("spans"))
-    known = stored(by_id, "spans")
+    def rewrite(batches):
+        for c in batches:
+            rows = []
+            lists = c.column("spans").to_pylist() if "spans" in c.schema.names else [None] * len(c)
+            for i, text, own in zip(c.column("id").to_pylist(), c.column("text").to_pylist(), lists):
+                data = (text or "").encode("utf-8", "surrogatepass")
+                a, b = merged(*np.array(own, np.int64).reshape(-1, 2).T) if own else (np.zeros(0, np.int64),) * 2
+                sha, at = hashlib.sha256(), 0
+                for p, q in zip(a.tolist(), b.tolist()):
+                    sha.update(data[at:p])
+                    at = q
+                sha.update(data[at:])
+                rows.append((i, len(data), int((b - a).sum()), len(a), sha.hexdigest()))
+            cols = list(zip(*rows)) or [()] * 5
+            yield pa.RecordBatch.from_arrays([*(pa.array(x, pa.int64()) for x in cols[:4]), pa.array(cols[4], pa.string())], names=names)
+
+    known = stored(spans, "spans")
     if known.isEmpty():
-        return docs.mapInArrow(rewrite(False), schema)
-    may = filtered(docs, known.select("id"))
-    hit = may.join(known, "id", "left").mapInArrow(rewrite(True), schema)
-    return only(docs, known.select("id"), rewrite(False), schema, inside=False).unionByName(hit)
+        return docs.mapInArrow(rewrite, schema)
+    texts, ids = hashed(docs, known.select("id")), known.withColumnsRenamed({"id": "_id", "x": "_x"})
+    hit = texts.join(ids, F.col("id").eqNullSafe(F.col("_id")) & (F.col("x") == F.col("_x")), "left").mapInArrow(rewrite, schema)
+    return only(docs, known.select("id"), rewrite, schema, inside=False).unionByName(hit)
 
 
-def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budget: int = 128 << 20) -> DataFrame:
+def remove_repeats(docs: DataFrame, least: int = LEAST, shard: int = SHARD, budget: int = BUDGET, many: int = MANY) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of docs (doc_id, text)."""
     spark = docs.sparkSession
-    docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("id"), F.col("text").cast("string").alias("text"))
+    docs = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
     runs = stored(stretches(docs, least), "stretches")
 
     # Anchors that occur again; the filter is of fixed size, what it lets through by chance has n = 1 below.
     again = stored(runs.select(F.explode("h").alias("h")).groupBy("h").count().filter("count > 1").select("h"), "anchors")
-    rows = runs.select("id", "x", F.explode(F.arrays_zip("h", "t", "a", "b")).alias("s")).select("id", "x", "s.h", "s.t", "s.a", "s.b")
+    rows = runs.select("id", "x", F.explode(F.arrays_zip("h", "t", "a", "b", "p")).alias("s")).select("id", "x", "s.*")
     rows = stored(filtered(rows.withColumnsRenamed({"id": "doc", "h": "id"}), again.withColumnRenamed("h", "id")).withColumnsRenamed({"id": "h", "doc": "id"}), "again")
-    one = rows.groupBy("h", "t").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("id", "x", "a", "b")).alias("r")).select("h", "t", "n", "r.*")
+    one = rows.groupBy("h", "t").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("id", "x", "a", "b", "p")).alias("r")).select("h", "t", "n", "r.*")
     one = stored(one.join(again, "h", "left_semi"), "distinct")
 
-    def fetch(batches):
-        tool = Stretches(least)
-        for c in batches:
-            out = []
-            for text, parts in zip(c.column("text").to_pylist(), c.column("parts").to_pylist()):
-                data = (text or "").encode("utf-8", "surrogatepass")
-                x = tool.own(data)
-                out += [(p["h"], p["t"], p["n"], data[p["a"] : p["b"]]) for p in parts if p["x"] == x]
-            cols = list(zip(*out)) or [()] * 4
-            yield pa.RecordBatch.from_arrays([*(pa.array(v, pa.int64()) for v in cols[:3]), pa.array(cols[3], pa.binary())], names=["h", "t", "n", "body"])
-
     # Where all stretches of an anchor are equal, there is nothing to order: each window of theirs is a repeat.
-    texts_of = one.groupBy("h").agg(F.count(F.lit(1)).alias("texts"))
+    texts_of = stored(one.groupBy("h").agg(F.count(F.lit(1)).alias("texts")), "texts")
     alone = one.join(texts_of.filter("texts = 1").select("h"), "h", "left_semi").filter("n > 1").select("h", "t", F.array(F.lit(0), (F.col("b") - F.col("a")).cast("int")).alias("spans"))
-    one = one.join(texts_of.filter("texts > 1").select("h"), "h", "left_semi")
-
-    wanted = one.groupBy("id").agg(F.collect_list(F.struct("x", "h", "t", "n", "a", "b")).alias("parts"))  # a document's own stretches
-    texts = filtered(docs, wanted.select("id"))
-    bodies = texts.join(wanted, "id").mapInArrow(fetch, "h long, t long, n long, body binary")
-    shards = bodies.repartition("h").sortWithinPartitions("h", "t")
-    found = stored(marked(shards, least, scratch(spark, "sort"), shard, budget), "marks")
-    back = rows.join(found.unionByName(alone), ["h", "t"]).select("id", "x", F.transform("spans", lambda v: (v + F.col("a")).cast("int")).alias("spans"))
+    found, piece = alone, max(1, (least - Stretches(least).gram + 1) // 3)
+    for size, some in ((piece, texts_of.filter((F.col("texts") > 1) & (F.col("texts") <= many))), (1, texts_of.filter((F.col("texts") > 1) & (F.col("texts") > many)))):
+        if some.isEmpty():
+            continue
+        wanted = stored(one.join(some.select("h"), "h", "left_semi").groupBy("id", "x").agg(F.collect_list(F.struct("h", "t", "n", "a", "b", "p")).alias("parts")), "wanted")  # a document's own stretches
+        parts = pieces(joined(hashed(docs, wanted.select("id")), wanted), least, size)
+        if size > 1:
+            found = found.unionByName(marked(parts.repartition("c").sortWithinPartitions("c"), least, scratch(spark, "sort"), shard, budget))
+        else:
+            found = found.unionByName(counted(stored(parts.drop("body"), "single"), least))
+    back = rows.join(stored(found, "marks"), ["h", "t"]).select("id", "x", F.transform("spans", lambda v: (v + F.col("a")).cast("int")).alias("spans"))
     per_text = back.groupBy("id", "x").agg(F.flatten(F.collect_list("spans")).alias("spans"))  # a document's own spans
-    out = cut(docs, per_text)
-    return out.select(F.when(F.col("id") != NULL_ID, F.col("id")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    return cut(docs, per_text).withColumnRenamed("id", "doc_id")
 
 
 def op1_induced_suffix_sorting(spark: SparkSession, sf_dir: str) -> DataFrame:

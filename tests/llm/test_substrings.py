@@ -60,11 +60,24 @@ def test_equals_brute_force(spark):
     rows += [(100, None), (101, ""), (102, "x" * 3000), (103, "x" * 45), (104, rows[0][1]), (105, "ab" * 500), (5, "twin " * 30), (5, "other " * 30), (106, "line\n" * 100)]
     docs = spark.createDataFrame([(i, t, 1, "z") for i, t in rows] + [(None, "null id " * 20, 1, "z"), (106, "line\n" * 100, 2, "y")], "doc_id long, text string, h int, spans string").repartition(4)
     want = brute([*rows, (None, "null id " * 20), (106, "line\n" * 100)], 40)
-    for shard in (200, 1 << 23):
-        assert sorted((tuple(r) for r in S.remove_repeats(docs, 40, shard, 4000).collect()), key=str) == want
+    for shard, many in ((200, 1000), (1 << 23, 1000), (1 << 23, 2)):
+        assert sorted((tuple(r) for r in S.remove_repeats(docs, 40, shard, 4000, many).collect()), key=str) == want
     assert S.remove_repeats(docs.limit(0)).count() == 0
 
 
+def test_production_settings_spill(tmp_path):
+    """A shard of the production size writes runs at the production budget, a few files, and leaves none."""
+    from pyarrow import fs
+
+    rng = random.Random(13)
+    passage = bytes(rng.choices(range(97, 123), k=450))
+    strings = [bytes(rng.choices(range(97, 123), k=200)) + passage[rng.randint(0, 40) :] for _ in range(S.SHARD // 600)]
+    spill = I.Spill(fs.LocalFileSystem(), str(tmp_path / "runs"), S.BUDGET)
+    flags = I.repeated(strings, 400, spill)
+    assert spill.written > 1 << 20 and not list((tmp_path / "runs").iterdir())
+    assert all(f.sum() == max(0, len(x) - 200 - 400 + 1) or f.sum() >= 1 for x, f in zip(strings, flags))
+
+
 def test_table(spark, tiny):
     docs = spark.read.parquet(f"{tiny}/documents.parquet")
     assert sorted((tuple(r) for r in S.remove_repeats(docs).collect()), key=str) == brute([(r.doc_id, r.text) for r in docs.collect()], 400)

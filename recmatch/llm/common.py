@@ -17,6 +17,8 @@ def shared_dir(spark: SparkSession) -> str:
     sc = spark.sparkContext
     where = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not where:
+        if not sc.master.startswith("local[") and sc.master != "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         where = "file:///tmp/recmatch-shared"
         sc.setCheckpointDir(where)
     if sc.getCheckpointDir() is None:
@@ -36,6 +38,20 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """docs, stored, with a number of each row, and that column's name, which no other column begins with. Tells rows apart that share an id."""
+    row = "_row"
+    while any(c.lower().startswith(row) for c in docs.columns):
+        row += "_"
+    return stored(docs.withColumn(row, F.monotonically_increasing_id()), "rows"), row
+
+
+def without(docs: DataFrame, row: str, gone: DataFrame) -> DataFrame:
+    """numbered() docs without the rows of a one-column table, and without the number."""
+    gone = stored(gone.select(F.col(gone.columns[0]).alias(f"{row}_")), "gone")
+    return docs.join(gone, F.col(row) == F.col(f"{row}_"), "left_anti").drop(row)
+
+
 def dropped(spark: SparkSession, path: str) -> None:
     """Delete a folder of the shared one, by Hadoop's file system."""
     jvm = spark.sparkContext._jvm

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, numbered, stored, without
 from .shingles import Words, mix, shingled, slices
 
 WORDS, SHARE, VALUES, BITS = 5, 0.8, 64, 24
@@ -173,9 +173,9 @@ def contained(docs: DataFrame, items: DataFrame, share: float = SHARE) -> DataFr
 
 
 def clean(docs: DataFrame, items: DataFrame, share: float = SHARE) -> DataFrame:
-    """The documents that hold no item, with all their columns."""
-    bad = stored(contained(docs, items, share).select(F.col("doc_id").alias("_bad")).distinct(), "leaks")
-    return docs.join(bad, docs["doc_id"].cast("long").eqNullSafe(bad["_bad"]), "left_anti")
+    """The rows that hold no item, with all their columns. Rows that share an id, or have none, are judged one by one."""
+    docs, row = numbered(docs)
+    return without(docs, row, contained(docs.select(F.col(row).alias("doc_id"), "text"), items, share).select("doc_id").distinct())
 
 
 def op6_minhash_containment(spark: SparkSession, sf_dir: str) -> DataFrame:

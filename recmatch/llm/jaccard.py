@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, numbered, stored, without
 from .components import components
 from .shingles import Words, mix, shingled, slices
 
@@ -403,13 +403,12 @@ def one_of_each(docs: DataFrame, rule: Rule = Rule(5, 80)) -> DataFrame:
     Rows are told apart, not ids: rows that repeat an id or have none are documents of their own. Rows without words
     are linked with nothing and stay.
     """
-    row, kept = (f"_{x}_{'_'.join(docs.columns)}"[:200] for x in ("row", "kept"))  # no column has such a name
-    docs = stored(docs.withColumn(row, F.monotonically_increasing_id()), "rows")
+    docs, row = numbered(docs)
     found = near(docs.select(F.col(row).alias("doc_id"), "text"), rule).select(F.col("doc_id").alias("r"), F.col("component_id").alias("k"))
     many = stored(found.filter("r <> k").select("k").distinct(), "groups")
     members = found.join(many, "k").join(docs.select(F.col(row).alias("r"), F.col("doc_id").alias("d")), "r")
     gone = members.join(members.groupBy("k").agg(F.min(F.struct(F.col("d").isNull(), "d", "r")).alias("best")), "k").filter("r <> best.r")
-    return docs.join(stored(gone.select(F.col("r").alias(kept)), "gone"), F.col(row) == F.col(kept), "left_anti").drop(row)
+    return without(docs, row, gone.select("r"))
 
 
 __all__ = ["Rule", "mix", "near", "one_of_each", "op10_adaptive_prefixes", "prefix"]

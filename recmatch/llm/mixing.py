@@ -14,20 +14,25 @@ with a third of all rows is no task of its own. Null sources are one source, the
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import documents, stored
+from .common import documents, numbered, stored
 
 #: Weights by the sources' code-point order, repeating; what is taken at most of a source, and of all.
 WEIGHTS, CEILING, WHOLE = (5.0, 2.0, 1.0), 2.0, 1.5
 #: The golden ratio's fraction times 2**31, odd, so that 2**31 slots visit 2**31 points.
 STEP, POINTS = 1327217885, 2**31
-CELLS, CHUNK_SLOTS, CHUNK_DOCS = 4096, 65536, 64
+#: Documents a chunk are CHUNK_DOCS or the root of their number, whatever the session's settings, so that reruns agree.
+CELLS, CHUNK_SLOTS, CHUNK_DOCS = 4096, 65536, 1024
 
 
-def sized(docs: DataFrame) -> DataFrame:
+def sized(docs: DataFrame, row: str | None = None) -> DataFrame:
+    """row tells documents apart: a column's values, or else numbers."""
     return docs.select(
+        (F.col(row) if row else F.monotonically_increasing_id()).alias("row"),
         F.col("doc_id").cast("long").alias("doc_id"),
         F.col("source").cast("string").alias("source"),
         F.coalesce(F.regexp_count(F.col("text"), F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long").alias("size"),
@@ -81,15 +86,16 @@ def schedule(t: DataFrame, block: int, chunk: int = CHUNK_SLOTS) -> DataFrame:
 
 def laid(sizes: DataFrame, t: DataFrame, seed: int = 7, chunks: int | None = None) -> DataFrame:
     """Each document's place in its source's shuffled stream: at, the words before it."""
-    chunks = chunks or CHUNK_DOCS * int(sizes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = sizes.count()
+    chunks = chunks or math.ceil(rows / max(CHUNK_DOCS, math.sqrt(rows))) or 1
     h = F.xxhash64(F.lit(seed), F.col("doc_id"))
-    d = sizes.join(F.broadcast(t), sizes["source"].eqNullSafe(t["source"])).select("doc_id", "source_key", "size", "source_size", "target", h.alias("h"))
+    d = sizes.join(F.broadcast(t), sizes["source"].eqNullSafe(t["source"])).select("row", "doc_id", "source_key", "size", "source_size", "target", h.alias("h"))
     d = d.withColumn("chunk", F.pmod(F.shiftrightunsigned("h", 16), F.lit(chunks)).cast("int"))
     before = Window.partitionBy("source_key").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     sums = d.groupBy("source_key", "chunk").agg(F.sum("size").alias("n")).select("source_key", "chunk", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("chunk_at"))
-    inside = Window.partitionBy("source_key", "chunk").orderBy("h", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("source_key", "chunk").orderBy("h", "doc_id", "size", "row").rowsBetween(Window.unboundedPreceding, -1)
     d = d.withColumn("in_chunk", F.coalesce(F.sum("size").over(inside), F.lit(0))).join(sums, ["source_key", "chunk"])
-    return d.select("doc_id", "source_key", "size", "source_size", "target", (F.col("chunk_at") + F.col("in_chunk")).alias("at"))
+    return d.select("row", "doc_id", "source_key", "size", "source_size", "target", (F.col("chunk_at") + F.col("in_chunk")).alias("at"))
 
 
 def pieces(placed: DataFrame, block: int, passes: int = 2) -> DataFrame:
@@ -99,33 +105,31 @@ def pieces(placed: DataFrame, block: int, passes: int = 2) -> DataFrame:
     p = p.withColumn("to", F.least(F.col("from") + F.col("size"), F.floor("target"))).filter("from < to")
     p = p.withColumn("block_no", F.explode(F.sequence(F.floor(F.col("from") / block), F.floor((F.col("to") - 1) / block))))
     n = F.least("to", (F.col("block_no") + 1) * block) - F.greatest("from", F.col("block_no") * block)
-    return p.select("doc_id", "at", "source_key", "pass", "block_no", n.alias("n_words"))
+    return p.select("row", "doc_id", "at", "source_key", "pass", "block_no", n.alias("n_words"))
 
 
-def mix(docs: DataFrame, weights=WEIGHTS, ceiling: float = CEILING, whole: float = WHOLE, block: int | None = None) -> tuple[DataFrame, DataFrame]:
+def mix(docs: DataFrame, weights=WEIGHTS, ceiling: float = CEILING, whole: float = WHOLE, block: int | None = None, row: str | None = None) -> tuple[DataFrame, DataFrame]:
     """(documents with what the mix takes of them, schedule with its pieces of documents)."""
-    import math
-
-    sizes = stored(sized(docs), "sizes")
+    sizes = stored(sized(docs, row), "sizes")
     t = stored(targets(sizes, weights, ceiling, whole), "targets")
     block = block or block_words(t)
     placed = stored(laid(sizes, t), "laid")
     plan = schedule(t, block).join(pieces(placed, block, math.ceil(ceiling)), ["source_key", "block_no"])
-    taken = plan.groupBy("source_key", "at", "doc_id").agg(F.sum("n_words").alias("taken"))
-    keys = ["source_key", "at", "doc_id"]
-    # Documents without words share a place with the next; they take nothing.
-    full = placed.filter("size > 0").join(taken, keys, "left").unionByName(placed.filter("size = 0").withColumn("taken", F.lit(0).cast("long")))
-    out = full.select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"), "source_key")
+    taken = plan.groupBy("row").agg(F.sum("n_words").alias("taken"))
+    full = placed.filter("size > 0").join(taken, "row", "left").unionByName(placed.filter("size = 0").withColumn("taken", F.lit(0).cast("long")))
+    out = full.select("row", "doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).alias("taken"), "source_key")
     return out, plan
 
 
 def op9_low_discrepancy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix(documents(spark, sf_dir))[0].drop("source_key")
+    return mix(documents(spark, sf_dir))[0].drop("source_key", "row")
 
 
 def take(docs: DataFrame, **how) -> DataFrame:
-    """docs as the mix takes them: a row for each whole time that it takes a document, halves rounded up; columns unchanged."""
-    used = mix(docs, **how)[0].filter("size > 0").select(F.col("doc_id").alias("_id"), F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("_n"))
-    used = stored(used.groupBy("_id").agg(F.max("_n").alias("_n")).filter("_n > 0"), "taken")
-    both = docs.join(used, docs["doc_id"].cast("long").eqNullSafe(used["_id"]))
-    return both.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_n")))).select(*(docs[c] for c in docs.columns))
+    """docs as the mix takes them: a row for each whole time that it takes a document, halves rounded up; columns unchanged. Rows are told apart, not ids."""
+    names = docs.columns
+    docs, row = numbered(docs)
+    n, key = f"{row}n", f"{row}r"
+    used = mix(docs, **how, row=row)[0].filter("size > 0").select(F.col("row").alias(key), F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias(n))
+    both = docs.join(stored(used.filter(F.col(n) > 0), "taken"), F.col(row) == F.col(key))
+    return both.withColumn(n, F.explode(F.sequence(F.lit(1), F.col(n)))).select(*(F.col(f"`{c}`") for c in names))

@@ -103,7 +103,7 @@ class Anchors:
         follow = text[run_end : run_end + 1]
         if at >= end_of[1] and follow == "." and (m := self.quad(text, at)):
             end_of[1] = m.end()
-            if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m.groups()):
+            if all(len(p) <= 3 and int(p or 0) <= 255 for p in (g.lstrip("0") for g in m.groups())):
                 out.append((at, 1, m.end()))
         # A card may start inside a run only where the last one ended, which is at a run's end.
         if at >= end_of[2] and (run_end - at > 1 or follow in (" ", "-")) and (m := self.digits(text, at)):

@@ -13,6 +13,7 @@ task leaves a file that no index row names; reads follow the index only.
 
 from __future__ import annotations
 
+import json
 import os
 import struct
 import uuid
@@ -66,6 +67,17 @@ def unpack(payload: bytes) -> tuple[int | None, np.ndarray]:
     return None if doc_id == NULL_ID else doc_id, np.frombuffer(payload, f"<u{width}", n, HEAD_BYTES)
 
 
+#: Fixed value: the pattern of pieces of vocabularies that mark the ends of words.
+PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
+
+def _by_pieces(spec: dict) -> bool:
+    """Whether a vocabulary lower-cases, splits by PIECES and marks the ends of words: only then may pieces be encoded alone."""
+    steps = (spec.get("normalizer") or {}).get("normalizers") or []
+    splits = [s for s in (spec.get("pre_tokenizer") or {}).get("pretokenizers") or [] if s["type"] == "Split"]
+    return [s["type"] for s in steps] == ["NFC", "Replace", "Lowercase"] and [s["pattern"] for s in splits] == [{"Regex": PIECES}] and spec["model"].get("end_of_word_suffix") == "</w>"
+
+
 class Encoder:
     """A tokenizers file, encoding piece by piece with a cache.
 
@@ -86,10 +98,9 @@ class Encoder:
         for k, v in vocab.items():
             self.ends[v] = k.endswith("</w>")
         self.special = [k for k, v in self.tool.get_added_tokens_decoder().items()] and [t.content for t in self.tool.get_added_tokens_decoder().values()]
-        self.piecewise = path.endswith("word_bpe_49k.json")
+        self.piecewise = _by_pieces(json.loads(self.tool.to_str()))
         self.plain = regex.compile(r"[\t-\r -~\xa1-ɏ]*+")
-        #: Fixed value: the vocabulary's pattern of pieces.
-        self.pieces = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+").findall
+        self.pieces = regex.compile(PIECES).findall
         self.cache: dict[str, bytes] = {}
 
     def whole(self, text: str) -> bytes:

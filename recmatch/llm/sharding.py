@@ -4,8 +4,8 @@ Documents of equal text form a group, which no shard boundary cuts. Differencing
 partition a group - its bytes in one slot, nothing in the others - and repeatedly combines the two with
 the largest spread, one in rising, the other in falling order, until one is left. It runs in two levels:
 groups are dealt by hash to buckets, each differenced in a task of its own, and what is left of the
-buckets, one row of sums each, is differenced in turn on the driver; that table has as many rows as
-there are buckets, whatever the data. Ties go by group key, so reruns agree.
+buckets, one row of sums each, is differenced in turn on the driver. Buckets hold 4096 rows, or for more
+than 16 million rows the root of their number: that is how many rows of sums there are at most, too. Ties go by group key, so reruns agree.
 
 Law `bytes`. Null texts: one group, size 1. Empty tables: no rows. Repeated rows: all kept, with slots of
 their own. A group larger than a shard's share makes its shard the largest; it is not cut.
@@ -14,6 +14,7 @@ their own. A group larger than a shard's share makes its shard the largest; it i
 from __future__ import annotations
 
 import heapq
+import math
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -21,7 +22,8 @@ from pyspark.sql import functions as F
 
 from .common import documents, stored
 
-SHARDS = 8
+#: Rows a bucket are BUCKET_ROWS or the root of their number, whatever the session's settings, so that reruns agree.
+SHARDS, BUCKET_ROWS = 8, 4096
 
 
 def difference(weights: list[tuple[int, ...]], k: int) -> list[list[int]]:
@@ -77,7 +79,6 @@ def _buckets(k: int):
 def shard(docs: DataFrame, k: int = SHARDS, buckets: int | None = None) -> DataFrame:
     """doc_id, size, text_crc32, shard, slot for docs (doc_id, text)."""
     spark = docs.sparkSession
-    buckets = buckets or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     body = F.coalesce("text", F.lit(""))
     rows = stored(
         docs.select(
@@ -88,6 +89,8 @@ def shard(docs: DataFrame, k: int = SHARDS, buckets: int | None = None) -> DataF
         ),
         "sizes",
     )
+    n = rows.count()
+    buckets = buckets or math.ceil(n / max(BUCKET_ROWS, math.sqrt(n))) or 1
     groups = rows.groupBy("key").agg(F.sum("size").alias("weight")).withColumn("bucket", F.pmod(F.xxhash64("key"), F.lit(buckets)).cast("int"))
     bins = stored(groups.groupBy("bucket").applyInArrow(_buckets(k), "key binary, bucket int, bin int, weight long"), "bins")
     sums = bins.groupBy("bucket").pivot("bin", list(range(k))).sum("weight").fillna(0).orderBy("bucket").collect()

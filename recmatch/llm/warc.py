@@ -143,7 +143,10 @@ def digested(pages: DataFrame) -> DataFrame:
     pages = pages.withColumn("sha", F.sha1(F.col("html").cast("binary")))
     # Only payloads that occur again are joined back, and without their bodies.
     first = pages.groupBy("sha").agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("sha", "first_id", F.lit(True).alias("again"))
-    return pages.join(first, "sha", "left")
+    # Which page revisits which is decided on keys; bodies move by page and payload, so that no payload is hot.
+    found = pages.select("page_id", "sha").distinct().join(first, "sha")
+    found = found.withColumnsRenamed({"page_id": "_page", "sha": "_sha"})
+    return pages.join(found, F.col("page_id").eqNullSafe(F.col("_page")) & (F.col("sha") == F.col("_sha")), "left").drop("_page", "_sha")
 
 
 def write_monolithic(pages: DataFrame, where: str) -> DataFrame:

@@ -5,6 +5,7 @@ from __future__ import annotations
 import sys
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -85,13 +86,20 @@ _LOWER = {c: c + 32 for c in range(65, 91)}
 
 
 def kept_in_worker(key: str, make):
-    """A value that lives as long as the Python worker: tokenizers, word caches."""
+    """A value that lives in the Python worker until another operator wants one: tokenizers, word caches. Workers outlive stages."""
     store = sys.__dict__.setdefault("_recmatch_kept", {})
     if key not in store:
+        released()
         store[key] = make()
     return store[key]
 
 
+def released() -> None:
+    """Give back what earlier operators left in this Python worker."""
+    sys.__dict__.get("_recmatch_kept", {}).clear()
+    pa.default_memory_pool().release_unused()
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

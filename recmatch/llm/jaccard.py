@@ -27,12 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, numbered, stored, without
+from .common import documents, numbered, released, stored, without
 from .components import components
 from .shingles import Words, mix, shingled, slices
 
 #: Shingles counted together when looking for frequent ones; how many of these are ordered by count at most; bits of a filter.
-CHUNK, FREQUENT, BITS = 1 << 22, 1 << 18, 26
+CHUNK, FREQUENT, BITS = 1 << 21, 1 << 18, 26
 MOST_MATCHES, VERIFY_COST = 4, 0.05
 #: Lists of more documents go to blocks; documents a block and shingles a block, on average.
 SHORT, BLOCK, WEIGHT = 16, 384, 1 << 19
@@ -67,6 +67,7 @@ def profiles(docs: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
     """
 
     def run(batches):
+        released()
         tool, have, size, seen = Words("blank"), [], 0, set()
 
         def frequent():

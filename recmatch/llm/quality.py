@@ -58,7 +58,7 @@ BANDS = {
 #: First and last code point of the scripts' main blocks.
 SCRIPTS = (("latin", 0x41, 0x24F), ("greek", 0x370, 0x3FF), ("cyrillic", 0x400, 0x52F), ("cjk", 0x3040, 0x9FFF), ("cjk", 0xAC00, 0xD7AF))
 #: A word's tokens are kept for reuse up to this length, so many at most.
-CACHED_CHARS, CACHED_WORDS, CHUNK = 40, 400_000, 200
+CACHED_CHARS, CACHED_WORDS, CHUNK = 40, 200_000, 200
 
 
 def main_script(text: str) -> str:

@@ -34,7 +34,7 @@ MASK = 0xA282EAD8
 HEAD, HEAD_BYTES = "<qIB", 13
 NULL_ID = -(2**63)
 #: Pieces are kept for reuse up to this length, so many at most.
-CACHED_CHARS, CACHED_PIECES, CHUNK = 40, 400_000, 200
+CACHED_CHARS, CACHED_PIECES, CHUNK = 40, 200_000, 200
 
 
 def masked(data: bytes) -> int:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, numbered, stored, without
+from .common import documents, numbered, stored, tidy, without
 from .shingles import Words, mix, shingled, slices
 
 WORDS, SHARE, VALUES, BITS = 5, 0.8, 64, 24
@@ -96,7 +96,7 @@ def candidates(docs: DataFrame, items: DataFrame) -> DataFrame:
     sent = spark.sparkContext.broadcast(np.packbits(bitmap & 1).tobytes() + np.packbits(bitmap >> 1).tobytes())
 
     def run(batches):
-        raw = np.unpackbits(np.frombuffer(sent.value, np.uint8)).astype(bool)
+        raw = np.unpackbits(np.frombuffer(sent.value, np.uint8)).view(bool)
         one, two = raw[: 2**BITS], raw[2**BITS :]
         tool, steps = Words("plain"), _steps()
         classes = [c for c in kinds if c > 0]
@@ -140,7 +140,7 @@ def candidates(docs: DataFrame, items: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.binary(), pa.list_(pa.int64())))], names=["doc_id", "shingles", "keys"])
 
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    found = docs.mapInArrow(run, "doc_id long, shingles binary, keys array<long>")
+    found = docs.mapInArrow(tidy(run), "doc_id long, shingles binary, keys array<long>")
     return stored(found.withColumn("row_no", F.monotonically_increasing_id()), "windows")
 
 

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, numbered, released, stored, without
+from .common import cut_up, documents, numbered, stored, tidy, without
 from .components import components
 from .shingles import Words, mix, shingled, slices
 
@@ -67,7 +67,6 @@ def profiles(docs: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
     """
 
     def run(batches):
-        released()
         tool, have, size, seen = Words("blank"), [], 0, set()
 
         def frequent():
@@ -96,7 +95,7 @@ def profiles(docs: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
         h, c = frequent()
         yield out([], [], [], h, c)
 
-    both = stored(docs.mapInArrow(run, "id long, n long, sig binary, h long, c long"), "profiles")
+    both = stored(docs.mapInArrow(tidy(run), "id long, n long, sig binary, h long, c long"), "profiles")
     return both.filter("sig is not null").select("id", "n", "sig"), both.filter("h is not null").select("h", "c")
 
 
@@ -128,7 +127,7 @@ def only(docs: DataFrame, ids: DataFrame, run, schema: str, inside: bool = True)
         for b in batches:
             yield b.filter(pa.array(among(bits, b.column(b.num_columns - 1).to_numpy()) == inside))
 
-    return docs.withColumn("_place", place()).mapInArrow(lambda batches: run(picked(batches)), schema)
+    return docs.withColumn("_place", place()).mapInArrow(tidy(lambda batches: run(picked(batches))), schema)
 
 
 def filtered(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -213,7 +212,7 @@ def postings(pre: DataFrame) -> DataFrame:
             keep = among(bits, tokens & low)
             yield pa.RecordBatch.from_arrays([pa.array(tokens[keep], pa.int64()), pa.array(ids[keep], pa.int64())], names=["token", "id"])
 
-    return stored(pre.select("id", "tokens").mapInArrow(run, "token long, id long").join(again, "token", "left_semi").distinct(), "lists")
+    return stored(pre.select("id", "tokens").mapInArrow(tidy(run), "token long, id long").join(again, "token", "left_semi").distinct(), "lists")
 
 
 def packed(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -245,7 +244,7 @@ def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
     bodies = packed(docs, stored(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "needed"))
 
     def run(batches):
-        for b in batches:
+        for b in cut_up(batches, 4000):
             x, y = b.column(2).to_pylist(), b.column(3).to_pylist()
             of, good = unpacked(x + y, rule), []
             for s, t in zip(x, y):
@@ -255,7 +254,7 @@ def verify(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(good, pa.bool_())], names=["a", "b", "good"])
 
     both = pairs.join(bodies.select(F.col("id").alias("a"), F.col("z").alias("x")), "a").join(bodies.select(F.col("id").alias("b"), F.col("z").alias("y")), "b")
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long, good boolean")
+    return both.select("a", "b", "x", "y").mapInArrow(tidy(run), "a long, b long, good boolean")
 
 
 def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, kept_in_worker, words_of
+from .common import cut_up, documents, kept_in_worker, words_of
 
 #: The symbols that count.
 SYMBOLS = "#*$%&|<>"
@@ -58,7 +58,7 @@ BANDS = {
 #: First and last code point of the scripts' main blocks.
 SCRIPTS = (("latin", 0x41, 0x24F), ("greek", 0x370, 0x3FF), ("cyrillic", 0x400, 0x52F), ("cjk", 0x3040, 0x9FFF), ("cjk", 0xAC00, 0xD7AF))
 #: A word's tokens are kept for reuse up to this length, so many at most.
-CACHED_CHARS, CACHED_WORDS, CHUNK = 40, 200_000, 200
+CACHED_CHARS, CACHED_WORDS, CHUNK = 40, 100_000, 200
 
 
 def main_script(text: str) -> str:
@@ -177,7 +177,7 @@ def vocabulary() -> str:
 def _mapper(path: str, bands: dict, carry: list[str] | None):
     def run(batches):
         model = kept_in_worker(f"fertility {path}", lambda: Fertility(path))
-        for b in batches:
+        for b in cut_up(batches):
             texts = b.column("text").to_pylist()
             langs = b.column("lang").to_pylist()
             out = judge_all(texts, langs, model, bands)

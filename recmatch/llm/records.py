@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, dropped, kept_in_worker, open_fs, scratch
+from .common import cut_up, documents, dropped, kept_in_worker, open_fs, scratch
 
 INDEX = "doc_id long, file string, part int, place long, offset long, length long, n_tokens long"
 #: Fixed value: what the mask adds.
@@ -34,7 +34,7 @@ MASK = 0xA282EAD8
 HEAD, HEAD_BYTES = "<qIB", 13
 NULL_ID = -(2**63)
 #: Pieces are kept for reuse up to this length, so many at most.
-CACHED_CHARS, CACHED_PIECES, CHUNK = 40, 200_000, 200
+CACHED_CHARS, CACHED_PIECES, CHUNK = 40, 100_000, 200
 
 
 def masked(data: bytes) -> int:
@@ -154,7 +154,7 @@ def write_records(docs: DataFrame, where: str, path: str | None = None, end_id:
         tool = kept_in_worker(f"records {path}", lambda: Encoder(path))
         tail, offset, place, out = struct.pack("<I", end_id), 0, 0, None
         try:
-            for b in batches:
+            for b in cut_up(batches):
                 ids, texts, rows = b.column(0).to_pylist(), b.column(1).to_pylist(), []
                 for i in range(0, len(ids), CHUNK):
                     for doc_id, code in zip(ids[i : i + CHUNK], tool.encode([t or "" for t in texts[i : i + CHUNK]])):

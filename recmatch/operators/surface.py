@@ -89,9 +89,9 @@ def _(s, d):
 # Joins
 
 def _join(name: str, how: str, on: str):
-    @query(name, f"select c_custkey, o_orderkey from (select * from customer where c_custkey % 3 = 0) c {on} join (select * from orders where o_orderkey % 2 = 0) o on c_custkey = o_custkey")
+    @query(name, f"select c_custkey, o_orderkey from customer c {on} join orders o on c_custkey = o_custkey")
     def _(s, d):
-        c, o = table(s, d, "customer").filter("c_custkey % 3 = 0"), table(s, d, "orders").filter("o_orderkey % 2 = 0")
+        c, o = table(s, d, "customer"), table(s, d, "orders")
         return c.join(o, F.col("c_custkey") == F.col("o_custkey"), how).select("c_custkey", "o_orderkey")
 
 
@@ -258,10 +258,9 @@ def _(s, d):
 
 # Sorts, limits, sets
 
-@query("op_sort_multi", "select p_partkey, cast(row_number() over (order by p_type desc nulls last, p_size, p_partkey) as integer) as place from part order by place limit 500")
+@query("op_sort_multi", "select p_type, p_size, p_partkey from part order by p_type desc nulls last, p_size, p_partkey")
 def _(s, d):
-    top = table(s, d, "part").orderBy(F.desc_nulls_last("p_type"), "p_size", "p_partkey").limit(500)
-    return top.select("p_partkey", F.row_number().over(Window.orderBy(F.desc_nulls_last("p_type"), "p_size", "p_partkey")).alias("place"))
+    return table(s, d, "part").select("p_type", "p_size", "p_partkey").orderBy(F.desc_nulls_last("p_type"), "p_size", "p_partkey")
 
 
 both("op_limit_topk", "select o_orderkey, o_totalprice from {orders} order by o_totalprice desc, o_orderkey limit 10 offset 5")
@@ -273,13 +272,13 @@ def _(s, d):
     return table(s, d, "orders").withColumn("n", F.row_number().over(w)).filter("n <= 3").select("o_custkey", "o_orderkey")
 
 
-_x, _y = "select o_custkey as k from orders where o_orderkey % 3 = 0", "select c_custkey as k from customer where c_custkey % 2 = 0"
+_x, _y = "select c_custkey as k from customer", "select user_id as k from events"
 
 
 def _set(name: str, word: str, f):
     @query(name, f"{_x} {word} {_y}")
     def _(s, d):
-        return f(table(s, d, "orders").filter("o_orderkey % 3 = 0").select(F.col("o_custkey").alias("k")), table(s, d, "customer").filter("c_custkey % 2 = 0").select(F.col("c_custkey").alias("k")))
+        return f(table(s, d, "customer").select(F.col("c_custkey").alias("k")), table(s, d, "events").select(F.col("user_id").alias("k")))
 
 
 _set("op_union", "union", lambda a, b: a.union(b).distinct())

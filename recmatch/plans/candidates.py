@@ -18,7 +18,11 @@ _kept: dict[tuple, DataFrame] = {}
 
 def shared(spark: SparkSession) -> str:
     sc = spark.sparkContext
-    where = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir() or "file:///tmp/recmatch-shared"
+    where = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
+    if not where:
+        if not sc.master.startswith("local[") and sc.master != "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        where = "file:///tmp/recmatch-shared"
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(where)
     return where if ":/" in where else f"file://{where}"
@@ -46,10 +50,12 @@ def truth(spark: SparkSession, sf_dir: str, key: str) -> DataFrame:
 
 
 def sample(d1: DataFrame, true: DataFrame, matched: int = MATCHED, unmatched: int = UNMATCHED, seed: str = "s") -> DataFrame:
-    """rid, is_matched of the evaluation anchors: the first of either kind in the order of a digest."""
+    """rid, is_matched of the evaluation anchors: the first of either kind in the order of a digest, three quarters of a kind at most; the rest is for training."""
     flagged = d1.select("rid").join(true.select(F.col("anchor_id").alias("rid"), F.lit(True).alias("m")).distinct(), "rid", "left").select("rid", F.coalesce("m", F.lit(False)).alias("is_matched"))
     order = Window.partitionBy("is_matched").orderBy(F.md5(F.concat(F.lit(f"{seed}|"), F.col("rid").cast("string"))), "rid")
-    return flagged.withColumn("n", F.row_number().over(order)).filter((F.col("is_matched") & (F.col("n") <= matched)) | (~F.col("is_matched") & (F.col("n") <= unmatched))).select("rid", "is_matched")
+    most = F.least(F.when(F.col("is_matched"), matched).otherwise(unmatched), F.ceil(0.75 * F.col("of")))
+    counts = flagged.groupBy("is_matched").agg(F.count(F.lit(1)).alias("of"))  # two rows
+    return flagged.withColumn("n", F.row_number().over(order)).join(F.broadcast(counts), "is_matched").filter(F.col("n") <= most).select("rid", "is_matched")
 
 
 def compared(pairs: DataFrame, d1: DataFrame, d2: DataFrame, w: Workload) -> DataFrame:
@@ -87,8 +93,8 @@ def derive_sql(key: str, sampled: bool = True, n: int = LIST) -> str:
     grams = f"documents_grams as ({GRAMS['oracle']}), " if "documents_grams" in text["truth"] else ""
     sims = ", ".join(f"cast({similarity(t, f'a.{t.name}', f'b.{t.name}', 'oracle')} as double) as s_{t.name}" for t in w.attributes)
     rounded = ", ".join(f"round(s_{t.name}, 6) as s_{t.name}" for t in w.attributes)
-    pick = f"""picked as (select d1.* from d1 join (select rid, row_number() over (partition by m order by md5(concat('s|', cast(rid as varchar))), rid) as k, m
- from (select rid, rid in (select anchor_id from truth) as m from d1)) q on d1.rid = q.rid where (m and k <= {MATCHED}) or (not m and k <= {UNMATCHED})), """
+    pick = f"""picked as (select d1.* from d1 join (select rid, row_number() over (partition by m order by md5(concat('s|', cast(rid as varchar))), rid) as k, ceil(0.75 * count(*) over (partition by m)) as most, m
+ from (select rid, rid in (select anchor_id from truth) as m from d1)) q on d1.rid = q.rid where k <= least(most, case when m then {MATCHED} else {UNMATCHED} end)), """
     return f"""with {grams}d1 as ({text['d1']}), d2 as ({text['d2']}), truth as ({text['truth']}), {pick if sampled else ''}
  {blocking_sql(w, 'picked' if sampled else 'd1', n)},
  cmp as (select c.anchor_id, c.cand_id, c.pos, c.block_score, {sims} from cand c join {'picked' if sampled else 'd1'} a on a.rid = c.anchor_id join d2 b on b.rid = c.cand_id),

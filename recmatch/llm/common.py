@@ -16,8 +16,20 @@ from pyspark.sql import functions as F
 BLANKS = "\t\n\x0b\x0c\r"
 
 
+#: Arrow batches, where the session has Spark's defaults: setting, default, value. Executors hold several at once, beside their heap.
+BATCHES = (("spark.sql.execution.arrow.maxRecordsPerBatch", "10000", "2000"), ("spark.sql.execution.arrow.maxBytesPerBatch", "67108864b", "16777216b"))
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Batches of 2000 rows and 16 MB at most, unless the session says otherwise."""
+    for key, default, value in BATCHES:
+        if spark.conf.get(key, None) in (None, default):
+            spark.conf.set(key, value)
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share, as a URI; one is set only where none is."""
+    small_batches(spark)
     sc = spark.sparkContext
     where = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not where:

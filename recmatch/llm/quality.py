@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut_up, documents, kept_in_worker, words_of
+from .common import cut_up, documents, kept_in_worker, small_batches, words_of
 
 #: The symbols that count.
 SYMBOLS = "#*$%&|<>"
@@ -194,12 +194,14 @@ def _mapper(path: str, bands: dict, carry: list[str] | None):
 
 def quality(docs: DataFrame, model_path: str | None = None, bands: dict | None = None) -> DataFrame:
     """Counts, fertility and verdict of each document (doc_id, text, lang)."""
+    small_batches(docs.sparkSession)
     docs = docs.select("doc_id", "text", "lang")
     return docs.mapInArrow(_mapper(model_path or vocabulary(), bands or BANDS, None), SCHEMA)
 
 
 def keep_good(docs: DataFrame, model_path: str | None = None, bands: dict | None = None) -> DataFrame:
     """The documents that the rules keep, with all their columns."""
+    small_batches(docs.sparkSession)
     return docs.mapInArrow(_mapper(model_path or vocabulary(), bands or BANDS, docs.columns), docs.schema)
 
 

@@ -7,6 +7,8 @@ import ctypes
 import gc
 import sys
 import uuid
+from collections.abc import Callable, Iterator
+from contextvars import ContextVar
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -47,13 +49,56 @@ def scratch(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
 
 
+#: Where the folders of stored tables are noted, if somebody wants to delete them later.
+_noted: ContextVar[list[str] | None] = ContextVar("noted", default=None)
+
+
+@contextlib.contextmanager
+def noting() -> Iterator[list[str]]:
+    """Collects the folders of the tables that are stored inside and outlive it."""
+    mine: list[str] = []
+    token = _noted.set(mine)
+    try:
+        yield mine
+    finally:
+        _noted.reset(token)
+
+
 def stored(df: DataFrame, name: str) -> DataFrame:
     """Write a table in the shared folder and read it back: cuts lineage, survives lost executors."""
     path = scratch(df.sparkSession, name)
     df.write.parquet(path)
+    if (noted := _noted.get()) is not None:
+        noted.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def settled(spark: SparkSession, name: str, make: Callable[[], DataFrame]) -> DataFrame:
+    """make(), stored. The tables that make() stored on the way are deleted: nothing reads them any more."""
+    with noting() as mine:
+        try:
+            path = scratch(spark, name)
+            df = make()
+            df.write.parquet(path)
+        finally:
+            for p in mine:
+                dropped(spark, p)
+    if (noted := _noted.get()) is not None:
+        noted.append(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def swept(docs: DataFrame, folders: list[str]) -> None:
+    """Delete the folders that docs does not read, and take them off the list; let Spark clean up the shuffles nobody can read."""
+    spark = docs.sparkSession
+    files = docs.inputFiles() if folders else []
+    for path in [p for p in folders if not any(p.rsplit("/", 1)[1] in f for f in files)]:
+        dropped(spark, path)
+        folders.remove(path)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
     """docs, stored, with a number of each row, and that column's name, which no other column begins with. Tells rows apart that share an id."""
     row = "_row"
@@ -63,9 +108,8 @@ def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
 
 
 def without(docs: DataFrame, row: str, gone: DataFrame) -> DataFrame:
-    """numbered() docs without the rows of a one-column table, and without the number."""
-    gone = stored(gone.select(F.col(gone.columns[0]).alias(f"{row}_")), "gone")
-    return docs.join(gone, F.col(row) == F.col(f"{row}_"), "left_anti").drop(row)
+    """numbered() docs without the rows of a stored one-column table, and without the number."""
+    return docs.join(gone.select(F.col(gone.columns[0]).alias(f"{row}_")), F.col(row) == F.col(f"{row}_"), "left_anti").drop(row)
 
 
 def dropped(spark: SparkSession, path: str) -> None:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, numbered, stored, tidy, without
+from .common import documents, numbered, settled, stored, tidy, without
 from .shingles import Words, mix, shingled, slices
 
 WORDS, SHARE, VALUES, BITS = 5, 0.8, 64, 24
@@ -175,7 +175,8 @@ def contained(docs: DataFrame, items: DataFrame, share: float = SHARE) -> DataFr
 def clean(docs: DataFrame, items: DataFrame, share: float = SHARE) -> DataFrame:
     """The rows that hold no item, with all their columns. Rows that share an id, or have none, are judged one by one."""
     docs, row = numbered(docs)
-    return without(docs, row, contained(docs.select(F.col(row).alias("doc_id"), "text"), items, share).select("doc_id").distinct())
+    gone = settled(docs.sparkSession, "gone", lambda: contained(docs.select(F.col(row).alias("doc_id"), "text"), items, share).select("doc_id").distinct())
+    return without(docs, row, gone)
 
 
 def op6_minhash_containment(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut_up, documents, numbered, stored, tidy, without
+from .common import cut_up, documents, numbered, settled, stored, tidy, without
 from .components import components
 from .shingles import Words, mix, shingled, slices
 
@@ -272,7 +272,8 @@ def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     centre = lists.groupBy("token").agg(F.min("id").alias("a"), F.min_by("id", F.xxhash64("id")).alias("c"))
     star = lists.join(centre, "token").select("id", F.explode(F.array_distinct(F.array("a", "c"))).alias("a")).filter("id <> a")
     star = star.groupBy(F.least("a", "id").alias("a"), F.greatest("a", "id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
-    tried = stored(verify(docs, stored(_likely(star, sizes, rule), "star"), rule), "tried")
+    spark = docs.sparkSession
+    tried = settled(spark, "tried", lambda: verify(docs, stored(_likely(star, sizes, rule), "star"), rule))
     links = same.union(tried.filter("good").select("a", "b"))
     comp = stored(components(links), "components")
     left = _mixed(lists, comp)
@@ -281,8 +282,8 @@ def near(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     x, y = few.alias("x"), few.alias("y")
     pairs = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.k") != F.col("y.k"))).groupBy(F.col("x.id").alias("a"), F.col("y.id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
     pairs = stored(_likely(pairs, sizes, rule).join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
-    more = verify(docs, pairs, rule).filter("good").select("a", "b")
-    more = stored(more.union(_blocks(docs, left.filter(F.col("size") > SHORT), sizes, rule)), "more")
+    long = left.filter(F.col("size") > SHORT)
+    more = settled(spark, "more", lambda: verify(docs, pairs, rule).filter("good").select("a", "b").union(_blocks(docs, long, sizes, rule)))
     if not more.isEmpty():
         comp = stored(components(links.union(more)), "components")
     return rows.join(comp, "id", "left").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"))
@@ -404,11 +405,14 @@ def one_of_each(docs: DataFrame, rule: Rule = Rule(5, 80)) -> DataFrame:
     are linked with nothing and stay.
     """
     docs, row = numbered(docs)
-    found = near(docs.select(F.col(row).alias("doc_id"), "text"), rule).select(F.col("doc_id").alias("r"), F.col("component_id").alias("k"))
-    many = stored(found.filter("r <> k").select("k").distinct(), "groups")
-    members = found.join(many, "k").join(docs.select(F.col(row).alias("r"), F.col("doc_id").alias("d")), "r")
-    gone = members.join(members.groupBy("k").agg(F.min(F.struct(F.col("d").isNull(), "d", "r")).alias("best")), "k").filter("r <> best.r")
-    return without(docs, row, gone.select("r"))
+
+    def others() -> DataFrame:
+        found = near(docs.select(F.col(row).alias("doc_id"), "text"), rule).select(F.col("doc_id").alias("r"), F.col("component_id").alias("k"))
+        many = stored(found.filter("r <> k").select("k").distinct(), "groups")
+        members = found.join(many, "k").join(docs.select(F.col(row).alias("r"), F.col("doc_id").alias("d")), "r")
+        return members.join(members.groupBy("k").agg(F.min(F.struct(F.col("d").isNull(), "d", "r")).alias("best")), "k").filter("r <> best.r").select("r")
+
+    return without(docs, row, settled(docs.sparkSession, "gone", others))
 
 
 __all__ = ["Rule", "mix", "near", "one_of_each", "op10_adaptive_prefixes", "prefix"]

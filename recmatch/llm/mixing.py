@@ -19,7 +19,7 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import documents, numbered, stored
+from .common import documents, numbered, settled, stored
 
 #: Weights by the sources' code-point order, repeating; what is taken at most of a source, and of all.
 WEIGHTS, CEILING, WHOLE = (5.0, 2.0, 1.0), 2.0, 1.5
@@ -130,6 +130,7 @@ def take(docs: DataFrame, **how) -> DataFrame:
     names = docs.columns
     docs, row = numbered(docs)
     n, key = f"{row}n", f"{row}r"
-    used = mix(docs, **how, row=row)[0].filter("size > 0").select(F.col("row").alias(key), F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias(n))
-    both = docs.join(stored(used.filter(F.col(n) > 0), "taken"), F.col(row) == F.col(key))
+    times = F.floor(F.col("taken") / F.col("size") + 0.5).cast("int")
+    used = settled(docs.sparkSession, "taken", lambda: mix(docs, **how, row=row)[0].filter("size > 0").select(F.col("row").alias(key), times.alias(n)).filter(F.col(n) > 0))
+    both = docs.join(used, F.col(row) == F.col(key))
     return both.withColumn(n, F.explode(F.sequence(F.lit(1), F.col(n)))).select(*(F.col(f"`{c}`") for c in names))

@@ -5,6 +5,13 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+ASK_PAIR = "Say Yes if both entries describe one real thing, else No."
+ASK_TRIPLE = "Which entry fits the given one better, A or B?"
+ASK_LIST = "Give the number of the entry that describes the same thing."
+NONE = "0: none of these"
+#: Words of a question without its entries: the instruction and a mark before each entry. A list has a mark an option more.
+PAIR_WORDS, TRIPLE_WORDS, LIST_WORDS, NONE_WORDS, EXAMPLE_WORDS = len(ASK_PAIR.split()) + 2, len(ASK_TRIPLE.split()) + 3, len(ASK_LIST.split()) + 1, len(NONE.split()), 4
+
 
 def record_text(names: list[str], prefix: str) -> Column:
     """name: value lines; attributes without a value are left out."""
@@ -12,19 +19,23 @@ def record_text(names: list[str], prefix: str) -> Column:
 
 
 def render_pair(a: Column, b: Column, rules: str | None = None, examples: Column | None = None) -> Column:
-    parts = [F.lit("Say Yes if both entries describe one real thing, else No."), *([F.lit(rules)] if rules else []), *([examples] if examples is not None else [])]
+    parts = [F.lit(ASK_PAIR), *([F.lit(rules)] if rules else []), *([examples] if examples is not None else [])]
     return F.concat_ws("\n", *parts, F.concat(F.lit("First: "), a), F.concat(F.lit("Second: "), b))
 
 
+def render_example(a: Column, b: Column, label: Column) -> Column:
+    return F.concat_ws("\n", F.concat(F.lit("First: "), a), F.concat(F.lit("Second: "), b), F.concat(F.lit("Answer: "), F.when(label == 1, "Yes").otherwise("No")))
+
+
 def render_triple(anchor: Column, a: Column, b: Column) -> Column:
-    return F.concat_ws("\n", F.lit("Which entry fits the given one better, A or B?"), F.concat(F.lit("Given: "), anchor), F.concat(F.lit("A: "), a), F.concat(F.lit("B: "), b))
+    return F.concat_ws("\n", F.lit(ASK_TRIPLE), F.concat(F.lit("Given: "), anchor), F.concat(F.lit("A: "), a), F.concat(F.lit("B: "), b))
 
 
 def render_list(anchor: Column, options: Column, opt_out: bool) -> Column:
     """options: array of texts in order."""
-    last = F.lit("0: none of these") if opt_out else None
+    last = F.lit(NONE) if opt_out else None
     numbered = F.array_join(F.transform(options, lambda o, i: F.concat((i + 1).cast("string"), F.lit(": "), o)), "\n")
-    return F.concat_ws("\n", F.lit("Give the number of the entry that describes the same thing."), F.concat(F.lit("Given: "), anchor), numbered, *([last] if last is not None else []))
+    return F.concat_ws("\n", F.lit(ASK_LIST), F.concat(F.lit("Given: "), anchor), numbered, *([last] if last is not None else []))
 
 
 def parse_yes_no(answer: Column) -> Column:

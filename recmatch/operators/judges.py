@@ -26,7 +26,8 @@ class Judge:
 
     p(yes) = 1 / (1 + exp(-beta (sim - tau))); of two, p(first) uses their difference plus delta, a liking for what
     comes first; of a list, the largest sim less lam for each place; below theta the opt-out. The sigmas add noise
-    from a digest of seed, question and ids to sim, as weaker models err more.
+    from a digest of seed, question and ids to sim, as weaker models err more. sigma_triple errs anew in each comparison;
+    sigma_record misreads a candidate the same way in all comparisons of its list, so that more of them do not average it out.
     """
 
     name: str = "expression"
@@ -38,6 +39,7 @@ class Judge:
     sigma_pair: float = 0.0
     sigma_triple: float = 0.0
     sigma_list: float = 0.0
+    sigma_record: float = 0.0
     seed: int = 1
     has_probs: bool = True
     deterministic: bool = True
@@ -62,7 +64,8 @@ class Judge:
 
     def p_first(self, name: str, x: str, y: str, xi: str, yi: str, a: str = "anchor_id") -> str:
         ids = f"cast({a} as {_text(name)}), '|', cast({xi} as {_text(name)}), '|', cast({yi} as {_text(name)})"
-        s = self._noisy(f"{x} - {y}", self.sigma_triple, "|t|", ids, name)
+        read = lambda v, i: self._noisy(v, self.sigma_record, "|r|", f"cast({a} as {_text(name)}), '|', cast({i} as {_text(name)})", name)
+        s = self._noisy(f"{read(x, xi)} - {read(y, yi)}", self.sigma_triple, "|t|", ids, name)
         return f"round(1 / (1 + exp(-{self.beta}e0 * ({s} + {self.delta}e0))), 6)"
 
     def worth(self, name: str, sim: str = "sim", pos: str = "pos", a: str = "anchor_id", c: str = "cand_id") -> str:
@@ -84,8 +87,8 @@ def black_box(judge: Judge) -> Judge:
 
 
 LENIENT, DEFAULT, STRICT = Judge("lenient", tau=0.8), Judge("default"), Judge("strict", tau=0.92)
-#: A ladder of judges from small to large: noise falls; the small ones err more when comparing.
-LADDER = tuple(Judge(f"size {i}", tau=0.85, sigma_pair=s, sigma_triple=1.6 * s, sigma_list=1.3 * s, seed=i) for i, s in enumerate((0.8, 0.6, 0.45, 0.3, 0.2, 0.12, 0.06, 0.0), 1))
+#: A ladder of judges from small to large: noise falls; the small ones misread more when comparing.
+LADDER = tuple(Judge(f"size {i}", tau=0.85, sigma_pair=s, sigma_record=1.6 * s, sigma_list=1.3 * s, seed=i) for i, s in enumerate((0.8, 0.6, 0.45, 0.3, 0.2, 0.12, 0.06, 0.0), 1))
 #: Two strong judges for the main table: an older, noisier one and a newer one.
 OLDER, NEWER = Judge("older", tau=0.8, sigma_pair=0.25, sigma_triple=0.25, sigma_list=0.1, lam=0.01, seed=11), Judge("newer", tau=0.85, sigma_pair=0.12, sigma_triple=0.1, sigma_list=0.05, lam=0.005, seed=12)
 RANKER = Judge("ranker", tau=0.85, sigma_pair=0.05, seed=13)

@@ -2,13 +2,19 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from recmatch.operators.judges import Judge, NoProbabilities
+from recmatch.plans.blocking import block_tfidf
 from recmatch.plans.candidates import nested
+from recmatch.plans.workloads import Workload
 
 ORDER = ("pos", "cand_id")
+#: Words in a larger share of the labelled records do not make examples alike.
+EXAMPLE_DF = 0.5
 
 
 # Pairwise
@@ -47,17 +53,30 @@ def match_best(cands: DataFrame, j: Judge) -> DataFrame:
 
 
 def match_fewshot(cands: DataFrame, j: Judge, examples: DataFrame) -> DataFrame:
-    """Pairs judged with worked examples: the threshold moves to the middle between the like and unlike ones."""
-    mid = examples.groupBy("anchor_id", "cand_id").agg(F.avg(F.when(F.col("label") == 1, F.col("ex_sim"))).alias("up"), F.avg(F.when(F.col("label") == 0, F.col("ex_sim"))).alias("down"))
-    both = cands.join(mid, ["anchor_id", "cand_id"], "left").withColumn("shift", F.round(F.coalesce((F.col("up") + F.col("down")) / 2 - j.tau, F.lit(0.0)), 6))
+    """Pairs judged with the worked examples of their anchor: the threshold moves to the middle between the like and unlike ones.
+
+    Without examples of both labels it stays. What is added before rounding keeps halves off the border.
+    """
+    mid = examples.groupBy("anchor_id").agg(F.avg(F.when(F.col("label") == 1, F.col("ex_sim"))).alias("up"), F.avg(F.when(F.col("label") == 0, F.col("ex_sim"))).alias("down"))
+    both = cands.join(mid, "anchor_id", "left").withColumn("shift", F.round(F.coalesce((F.col("up") + F.col("down")) / 2 - j.tau, F.lit(0.0)) + 1e-9, 6))
     return both.withColumn("yes", F.expr(j.p_yes("spark", "(sim - shift)")) >= 0.5)
 
 
-def retrieve_examples(cands: DataFrame, pool: DataFrame, n_pos: int = 3, n_neg: int = 3) -> DataFrame:
-    """For each pair the labelled pairs nearest in similarity, so many of either label. pool: ex_id, ex_sim, label; of bounded size."""
-    w = Window.partitionBy("anchor_id", "cand_id", "label").orderBy(F.round(F.abs(F.col("sim") - F.col("ex_sim")), 6), "ex_id")
-    near = cands.select("anchor_id", "cand_id", "sim").join(F.broadcast(pool)).withColumn("n", F.row_number().over(w))
-    return near.filter(F.when(F.col("label") == 1, F.col("n") <= n_pos).otherwise(F.col("n") <= n_neg)).select("anchor_id", "cand_id", "ex_id", "ex_sim", "label")
+def retrieve_examples(anchors: DataFrame, records: DataFrame, pool: DataFrame, w: Workload, n_pos: int = 3, n_neg: int = 3) -> DataFrame:
+    """For each anchor so many labelled pairs of either label whose own anchors are the records most like it, by the token index.
+
+    anchors, records: of the workload's first side. pool: labelled pairs (anchor_id, cand_id, sim, is_true); all are searched.
+    The n nearest records with a pair of a label hold the n nearest pairs. anchor_id, label, n, ex_a, ex_c, ex_sim.
+    """
+    out = None
+    for label, n in ((1, n_pos), (0, n_neg)):
+        mine = pool.filter(F.col("is_true") == (label == 1)).select(F.col("anchor_id").alias("ex_a"), F.col("cand_id").alias("ex_c"), F.col("sim").alias("ex_sim"))
+        near = block_tfidf(anchors, records.join(mine.select(F.col("ex_a").alias("rid")).distinct(), "rid", "left_semi"), replace(w, max_df=EXAMPLE_DF), n)
+        best = Window.partitionBy("anchor_id").orderBy("pos", "ex_c")
+        one = near.select("anchor_id", F.col("cand_id").alias("ex_a"), "pos").join(mine, "ex_a").withColumn("n", F.row_number().over(best)).filter(F.col("n") <= n)
+        one = one.select("anchor_id", F.lit(label).alias("label"), "n", "ex_a", "ex_c", "ex_sim")
+        out = one if out is None else out.unionAll(one)
+    return out
 
 
 # Triplewise
@@ -97,22 +116,27 @@ def rank_by_allpair(cands: DataFrame, j: Judge, k: int | None = None, use: str =
     return _ranked(compare_scores(cands, j, use), k)
 
 
-def bubble_inrow(cands: DataFrame, j: Judge, k: int) -> DataFrame:
+def bubble_inrow(cands: DataFrame, j: Judge, k: int, weigh: str | None = None) -> DataFrame:
     """k partial bubble passes within the row, from the tail to the head; only a win in both orders swaps.
 
-    anchor_id, cands in their final order.
+    anchor_id, cands in their final order. weigh: a long column of cands; adds spent, its sum over what all questions show.
     """
-    n = nested(cands)
+    n = nested(cands, *([weigh] if weigh else []))
+    digest = lambda text: F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("double") / 4294967296 - 0.5
+    if j.sigma_record:
+        key = lambda e: F.concat(F.lit(f"{j.seed}|r|"), F.col("anchor_id").cast("string"), F.lit("|"), e["cand_id"].cast("string"))
+        n = n.withColumn("cands", F.transform("cands", lambda e: e.withField("read", e["sim"] + j.sigma_record * digest(key(e)))))
+    seen = "read" if j.sigma_record else "sim"
     size = F.size("cands")
     steps = F.flatten(F.transform(F.sequence(F.lit(1), F.least(F.lit(k), size)), lambda t: F.when(size > t, F.reverse(F.sequence(t, size - 1))).otherwise(F.array().cast("array<int>"))))
 
     def beats(x: Column, y: Column) -> Column:
         """x, the later one, against y, asked in both orders."""
-        d, up = x["sim"] - y["sim"], F.lit(j.delta)
+        d, up = x[seen] - y[seen], F.lit(j.delta)
         if not j.sigma_triple:
             logit = lambda v: F.round(1 / (1 + F.exp(-j.beta * v)), 6)
             return (logit(d + up) >= 0.5) & (logit(up - d) < 0.5)
-        noise = lambda p, q: j.sigma_triple * (F.conv(F.substring(F.md5(F.concat(F.lit(f"{j.seed}|t|"), F.col("anchor_id").cast("string"), F.lit("|"), p["cand_id"].cast("string"), F.lit("|"), q["cand_id"].cast("string"))), 1, 8), 16, 10).cast("double") / 4294967296 - 0.5)
+        noise = lambda p, q: j.sigma_triple * digest(F.concat(F.lit(f"{j.seed}|t|"), F.col("anchor_id").cast("string"), F.lit("|"), p["cand_id"].cast("string"), F.lit("|"), q["cand_id"].cast("string")))
         logit = lambda v: F.round(1 / (1 + F.exp(-j.beta * v)), 6)
         return (logit(d + noise(x, y) + up) >= 0.5) & (logit(-d + noise(y, x) + up) < 0.5)
 
@@ -121,6 +145,11 @@ def bubble_inrow(cands: DataFrame, j: Judge, k: int) -> DataFrame:
         swapped = F.transform(acc, lambda e, p: F.when(p == i - 1, x).when(p == i, y).otherwise(e))
         return F.when(beats(x, y), swapped).otherwise(acc)
 
+    if weigh:
+        shown = lambda c, i: 2 * (F.element_at(c, i)[weigh] + F.element_at(c, i + 1)[weigh])  # noqa: E731  asked in both orders
+        start = F.struct(F.col("cands").alias("c"), F.lit(0).cast("long").alias("spent"))
+        fold = F.aggregate(steps, start, lambda acc, i: F.struct(step(acc["c"], i).alias("c"), (acc["spent"] + shown(acc["c"], i)).alias("spent")))
+        return n.withColumn("f", fold).select("anchor_id", F.col("f.c").alias("cands"), F.col("f.spent").alias("spent"))
     return n.withColumn("cands", F.aggregate(steps, F.col("cands"), step))
 
 

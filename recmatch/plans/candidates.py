@@ -81,9 +81,9 @@ def candidates(spark: SparkSession, sf_dir: str, key: str) -> DataFrame:
     return kept(spark, (sf_dir, key, "candidates"), make)
 
 
-def nested(cands: DataFrame) -> DataFrame:
+def nested(cands: DataFrame, *more: str) -> DataFrame:
     """One row an anchor: cands, an array by position. Lists are as long as blocking made them."""
-    return cands.groupBy("anchor_id").agg(F.array_sort(F.collect_list(F.struct("pos", "cand_id", "sim", "is_true"))).alias("cands"))
+    return cands.groupBy("anchor_id").agg(F.array_sort(F.collect_list(F.struct("pos", "cand_id", "sim", "is_true", *more))).alias("cands"))
 
 
 def derive_sql(key: str, sampled: bool = True, n: int = LIST) -> str:

@@ -5,21 +5,22 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from recmatch.functions import prompts as P
 from recmatch.functions.prompts import count_tokens
 from recmatch.operators import baselines as BL
 from recmatch.operators import measures as A
 from recmatch.operators import strategies as S
-from recmatch.operators.judges import LADDER, LENIENT, NEWER, OLDER
+from recmatch.operators.judges import LADDER, LENIENT, NEWER, OLDER, RANKER
 from recmatch.plans import methods as M
-from recmatch.plans.candidates import candidates, derive_sql, sample, side, truth
+from recmatch.plans.candidates import candidates, derive_sql, kept, sample, side, truth
 from recmatch.plans.methods import PLACED, W, on, query
 from recmatch.plans.workloads import WORKLOADS
 
 #: Prices are invented: dollars for a thousand input tokens, and for an hour of a rented accelerator.
 PRICES = {"strong": 0.0030, "cheap": 0.0002}
 GPU_HOUR = 1.20
-#: Words of an instruction, of a record on average where no text is at hand, and of an answer.
-INSTRUCTION, ANSWER = 40, 2
+#: Words of an answer: a label or a number.
+ANSWER = 1
 ALL = tuple(f"w{i}" for i in range(1, 9))
 
 _lists_sql = "(select anchor_id, count(*) as n from cs group by anchor_id)"
@@ -30,7 +31,7 @@ def call_log(cands: DataFrame, k: int = 4) -> DataFrame:
     c = cands.select("anchor_id", "cand_id", "pos")
     size = c.groupBy("anchor_id").agg(F.count(F.lit(1)).alias("n"))
     row = lambda df, s, stage, model, records: df.select(F.lit(s).alias("strategy"), F.lit(stage).alias("stage"), F.lit(model).alias("model"), "anchor_id", F.lit(records).cast("long").alias("records") if isinstance(records, int) else records.cast("long").alias("records"))
-    twice = c.alias("x").join(c.alias("y"), F.col("x.anchor_id") == F.col("y.anchor_id")).filter("x.pos <> y.pos").select("x.anchor_id")
+    twice = size.filter("n > 1").select("anchor_id", F.explode(F.sequence(F.lit(1).cast("long"), F.col("n") * (F.col("n") - 1))).alias("q"))
     bubble = lambda k: size.select("anchor_id", "n", F.explode(F.sequence(F.lit(1), F.least(F.lit(k).cast("long"), F.col("n") - 1))).alias("t")).filter("n > 1").select("anchor_id", F.explode(F.sequence(F.lit(1).cast("long"), 2 * (F.col("n") - F.col("t")))).alias("q"))
     kept = F.least(F.lit(k).cast("long"), F.col("n")) + 1
     parts = [
@@ -82,25 +83,102 @@ def closed_forms(s, d):
     return out
 
 
-def tokens_of(log: DataFrame, record_tokens: float) -> DataFrame:
-    """Input and output tokens: each call pays its instruction once and each record's text."""
-    return log.groupBy("strategy", "model").agg(F.count(F.lit(1)).alias("calls"), F.sum("records").alias("records")).withColumns({"in_tokens": (F.col("calls") * INSTRUCTION + F.ceil(F.col("records") * record_tokens)).cast("long"), "out_tokens": (F.col("calls") * ANSWER).cast("long")})
+def with_words(s, d, key: str) -> DataFrame:
+    """The candidate table with ta and tb, the words of either record in a prompt, and tf, those of its anchor's examples."""
+    return kept(s, (d, key, "words"), lambda: _with_words(s, d, key))
 
 
-RECORD_TOKENS = 12
+def _with_words(s, d, key: str) -> DataFrame:
+    words = lambda which, rid, name: M.record_words(s, d, key, which).select(F.col("rid").alias(rid), F.col("words").alias(name))
+    shown = M.examples(s, d, key).join(words("d1", "ex_a", "wa"), "ex_a").join(words("d2", "ex_c", "wb"), "ex_c")
+    tf = shown.groupBy("anchor_id").agg(F.sum(F.col("wa") + F.col("wb") + P.EXAMPLE_WORDS).alias("tf"))
+    c = candidates(s, d, key).select("anchor_id", "cand_id", "pos", "sim", "is_true")
+    return c.join(words("d1", "anchor_id", "ta"), "anchor_id").join(words("d2", "cand_id", "tb"), "cand_id").join(tf, "anchor_id", "left").na.fill(0, ["tf"])
 
 
-@query("cost_tokens")
+def spent(c: DataFrame, j, ranker, k: int = 4) -> DataFrame:
+    """strategy, model, calls, in_tokens, out_tokens of all strategies over lists with words (with_words): what the rendered
+    questions hold. Which records a bubble compares, and which are kept, follow from the judges' own answers."""
+    pair = P.PAIR_WORDS + F.col("ta") + F.col("tb")
+    size = c.groupBy("anchor_id").agg(F.count(F.lit(1)).alias("n"), F.max("ta").alias("ta"), F.sum("tb").alias("tb"))
+    whole = P.LIST_WORDS + F.col("ta") + F.col("tb") + F.col("n")
+    row = lambda df, strategy, model, tokens, calls=F.lit(1): df.select(F.lit(strategy).alias("strategy"), F.lit(model).alias("model"), calls.cast("long").alias("calls"), tokens.cast("long").alias("tokens"))
+    picked = lambda one: one.select("anchor_id", "cand_id").join(c, ["anchor_id", "cand_id"])
+
+    def bubble(k: int, judge) -> DataFrame:
+        asked = F.least(F.lit(k), F.col("n") - 1)
+        out = S.bubble_inrow(c, judge, k, "tb").select("anchor_id", "spent").join(size.select("anchor_id", "n", "ta"), "anchor_id")
+        return out.withColumn("asked", asked * (2 * F.col("n") - asked - 1)).withColumn("tokens", F.col("asked") * (P.TRIPLE_WORDS + F.col("ta")) + F.col("spent"))
+
+    def short(how: str) -> DataFrame:
+        return picked(S.shortlist(c, how, ranker, k)).groupBy("anchor_id").agg(F.count(F.lit(1)).alias("n"), F.max("ta").alias("ta"), F.sum("tb").alias("tb"))
+
+    rivals = F.col("n") * (F.col("n") - 1) * (P.TRIPLE_WORDS + F.col("ta")) + 2 * (F.col("n") - 1) * F.col("tb")
+    twice = F.col("n") * (F.col("n") - 1)
+    top, one, cheap = bubble(k, j), bubble(1, j), bubble(k, ranker)
+    parts = [
+        row(c, "pairwise", "strong", pair), row(c, "pairwise_fewshot", "strong", pair + F.col("tf")),
+        row(top, "triplewise_topk", "strong", F.col("tokens"), F.col("asked")),
+        row(one, "triplewise_identify", "strong", F.col("tokens"), F.col("asked")), row(picked(S.rank_by_bubble(c, j, 1)), "triplewise_identify", "strong", pair),
+        row(size, "triplewise_allpair", "strong", rivals, twice),
+        row(size, "listwise", "strong", whole + P.NONE_WORDS),
+        row(size, "listwise_verify", "strong", whole), row(picked(S.select(c, j)), "listwise_verify", "strong", pair),
+        row(c, "compound_match", "cheap", pair), row(short("match"), "compound_match", "strong", whole + P.NONE_WORDS),
+        row(cheap, "compound_bubble", "cheap", F.col("tokens"), F.col("asked")), row(short("bubble"), "compound_bubble", "strong", whole + P.NONE_WORDS),
+        row(size, "compound_allpair", "cheap", rivals, twice), row(short("allpair"), "compound_allpair", "strong", whole + P.NONE_WORDS),
+    ]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionAll(p)
+    return out.groupBy("strategy", "model").agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("in_tokens"), (F.sum("calls") * ANSWER).alias("out_tokens"))
+
+
+def spent_sql(key: str, j, ranker, k: int = 4) -> str:
+    """After derive_sql: common table expressions ending in ledger, the counterpart of spent(), for judges that compare without noise."""
+    a, b = M.words_sql(key, "d1"), M.words_sql(key, "d2")
+    pair, whole = f"{P.PAIR_WORDS} + ta + tb", f"{P.LIST_WORDS} + ta + tb + n"
+    plan = ", ".join(f"({n}, {kk}, {i}, {slot})" for n in range(2, 11) for kk in (1, k) for i, slot in enumerate((x for t in range(1, min(kk, n - 1) + 1) for x in range(n - 1, t - 1, -1)), 1))
+    asked = lambda strategy, model, kk: f"select '{strategy}' as strategy, '{model}' as model, 2 * steps as calls, 2 * steps * ({P.TRIPLE_WORDS} + ta) + shown as tokens from bubbled join li using (anchor_id) where kk = {kk}"
+    row = lambda strategy, model, tokens, src, calls="1": f"select '{strategy}', '{model}', {calls}, {tokens} from {src}"
+    picked = lambda src: f"(select lt.* from lt join {src} p0 using (anchor_id, cand_id)) p1"
+    kept = lambda how: f"(select anchor_id, count(*) as n, max(ta) as ta, sum(tb) as tb from {picked(M.short_sql(how, ranker, k))} group by anchor_id) p2"
+    rivals, twice = f"n * (n - 1) * ({P.TRIPLE_WORDS} + ta) + 2 * (n - 1) * tb", "n * (n - 1)"
+    parts = [
+        asked("triplewise_topk", "strong", k), asked("triplewise_identify", "strong", 1), asked("compound_bubble", "cheap", k),
+        row("pairwise", "strong", pair, "lt"), row("pairwise_fewshot", "strong", f"{pair} + tf", "lt"), row("triplewise_identify", "strong", pair, picked(M.bubble_sql(1))),
+        row("triplewise_allpair", "strong", rivals, "li", twice), row("listwise", "strong", f"{whole} + {P.NONE_WORDS}", "li"),
+        row("listwise_verify", "strong", whole, "li"), row("listwise_verify", "strong", pair, picked(M.s_sql(j, False))),
+        row("compound_match", "cheap", pair, "lt"), row("compound_allpair", "cheap", rivals, "li", twice),
+        *(row(f"compound_{how}", "strong", f"{whole} + {P.NONE_WORDS}", kept(how)) for how in ("match", "bubble", "allpair")),
+    ]
+    return f"""{M.examples_sql(key)}, fw as (select anchor_id, cast(sum(x.words + y.words + {P.EXAMPLE_WORDS}) as bigint) as tf from ex join {a} x on x.rid = ex_a join {b} y on y.rid = ex_c group by anchor_id),
+ lt as (select cs.*, x.words as ta, y.words as tb, coalesce(tf, 0) as tf from cs join {a} x on x.rid = cs.anchor_id join {b} y on y.rid = cs.cand_id left join fw using (anchor_id)),
+ li as (select anchor_id, count(*) as n, max(ta) as ta, sum(tb) as tb from lt group by anchor_id),
+ bubbled as (with recursive sched(n, kk, step, slot) as (values {plan}),
+  z as (select anchor_id, count(*) as n, kk, list(struct_pack(sim := sim, tb := tb) order by pos) as o, 0 as step, cast(0 as bigint) as shown from lt, (values (1), ({k})) v(kk) group by anchor_id, kk
+  union all select anchor_id, z.n, z.kk, case when o[slot + 1].sim > o[slot].sim then list_concat(o[1:slot - 1], [o[slot + 1], o[slot]], o[slot + 2:]) else o end, z.step + 1, shown + 2 * (o[slot].tb + o[slot + 1].tb)
+   from z join sched on sched.n = z.n and sched.kk = z.kk and sched.step = z.step + 1)
+  select anchor_id, kk, max(step) as steps, max(shown) as shown from z group by anchor_id, kk),
+ ledger as (select strategy, model, cast(sum(calls) as bigint) as calls, cast(sum(tokens) as bigint) as in_tokens, cast(sum(calls) * {ANSWER} as bigint) as out_tokens from ({' union all '.join(parts)}) l0 group by strategy, model),
+ usd as (select strategy, round(sum((in_tokens + out_tokens) / 1000e0 * case model {' '.join(f"when '{m}' then {p}e0" for m, p in PRICES.items())} end), 6) as usd from ledger group by strategy) """
+
+
+_ledger_sql = spent_sql(W, LENIENT, RANKER)
+_ratio_sql = "(select strategy, round(usd / (select usd from usd where strategy = 'pairwise'), 6) as ratio from usd)"
+_front_sql = M.by_strategy_sql(W, [LENIENT])
+
+
+@query("cost_tokens", on(W, _ledger_sql + "select * from ledger"))
 def ledger(s, d):
-    return tokens_of(call_log(candidates(s, d, W)), RECORD_TOKENS)
+    return spent(with_words(s, d, W), LENIENT, RANKER)
 
 
 def usd(s, log: DataFrame) -> DataFrame:
     book = s.createDataFrame([(m, p) for m, p in PRICES.items()], "model string, usd_per_1k double")
-    return log.join(F.broadcast(book), "model").withColumn("usd", (F.col("in_tokens") + F.col("out_tokens")) / 1000 * F.col("usd_per_1k")).groupBy("strategy").agg(F.round(F.sum("usd"), 6).cast("decimal(18,6)").alias("usd"))
+    return log.join(F.broadcast(book), "model").withColumn("usd", (F.col("in_tokens") + F.col("out_tokens")) / 1000 * F.col("usd_per_1k")).groupBy("strategy").agg(F.round(F.sum("usd"), 6).alias("usd"))
 
 
-@query("cost_usd")
+@query("cost_usd", on(W, _ledger_sql + "select * from usd"))
 def dollars(s, d):
     return usd(s, ledger(s, d))
 
@@ -110,17 +188,24 @@ def _(s, d):
     return s.createDataFrame([("train", 1800.0), ("test", 90.0), ("none", None)], "strategy string, seconds double").select("strategy", F.round(F.col("seconds") * GPU_HOUR / 3600, 6).alias("usd"))
 
 
-@query("cost_ratio")
+def ratios(c: DataFrame) -> DataFrame:
+    """Dollars against the pairwise strategy's."""
+    return c.join(F.broadcast(c.filter("strategy = 'pairwise'").select(F.col("usd").alias("base")))).select("strategy", "usd", F.round(F.col("usd") / F.col("base"), 6).alias("ratio"))  # one row
+
+
+@query("cost_ratio", on(W, _ledger_sql + f"select * from {_ratio_sql} q"))
 def ratio(s, d):
-    c = dollars(s, d)
-    base = c.filter("strategy = 'pairwise'").select(F.col("usd").cast("double").alias("base"))
-    return c.join(F.broadcast(base)).select("strategy", F.round(F.col("usd").cast("double") / F.col("base"), 6).alias("ratio"))
+    return ratios(dollars(s, d)).select("strategy", "ratio")
 
 
-@query("cost_frontier")
+_priced = {"triplewise": "triplewise_identify", "compound": "compound_match"}
+_f1_sql = f", fs as ({_front_sql}), fu as (select case strategy {' '.join(f"when '{a}' then '{b}'" for a, b in _priced.items())} else strategy end as strategy, f1 from fs), fc as (select strategy, f1, usd from fu join usd using (strategy)) "
+
+
+@query("cost_frontier", on(W, _ledger_sql + _f1_sql + "select * from fc x where not exists (select 1 from fc y where y.usd <= x.usd and y.f1 >= x.f1 and (y.usd < x.usd or y.f1 > x.f1))"))
 def frontier(s, d):
-    f1 = M.by_strategy(s, d, [W], [LENIENT]).select(F.when(F.col("strategy") == "triplewise", "triplewise_identify").when(F.col("strategy") == "compound", "compound_match").otherwise(F.col("strategy")).alias("strategy"), "f1")
-    return A.pareto(f1.join(dollars(s, d), "strategy").withColumn("usd", F.col("usd").cast("double")), "usd", "f1")
+    f1 = M.by_strategy(s, d, [W], [LENIENT]).replace(_priced, subset=["strategy"]).select("strategy", "f1")
+    return A.pareto(f1.join(dollars(s, d), "strategy"), "usd", "f1").select("strategy", "f1", "usd")
 
 
 # --- Experiments
@@ -171,12 +256,32 @@ def _(s, d):
     return sample(side(s, d, WORKLOADS[W], "d1"), truth(s, d, W))
 
 
-@query("exp_fewshot")
-def _(s, d):
-    c = candidates(s, d, W)
-    few = S.match_fewshot(c, LENIENT, M.fewshot_examples(s, d)).filter("yes").select("anchor_id", "cand_id")
-    row = lambda n, dec: A.prf(c, dec).select(F.lit(n).alias("strategy"), "tp", "fp", "fn", "precision", "recall", "f1")
-    return row("pairwise", M.decide(c, "pairwise", LENIENT)).unionAll(row("pairwise_fewshot", few)).unionAll(row("listwise", M.decide(c, "listwise", LENIENT)))
+def fewshot_rates(s, d, keys, judges) -> DataFrame:
+    """Pairwise without and with examples beside listwise, workload by workload."""
+    out = None
+    for key in keys:
+        c, ex = candidates(s, d, key), M.examples(s, d, key)
+        for j in judges:
+            jj = j.with_tau(min(j.tau, WORKLOADS[key].tau))
+            few = S.match_fewshot(c, jj, ex).filter("yes").select("anchor_id", "cand_id")
+            for n, dec in (("pairwise", M.decide(c, "pairwise", jj)), ("pairwise_fewshot", few), ("listwise", M.decide(c, "listwise", jj))):
+                one = A.prf(c, dec).select(F.lit(key).alias("workload"), F.lit(j.name).alias("judge"), F.lit(n).alias("strategy"), "tp", "fp", "fn", "precision", "recall", "f1")
+                out = one if out is None else out.unionAll(one)
+    return out
+
+
+def fewshot_rates_sql(keys, judges) -> str:
+    def one(key, j):
+        jj = j.with_tau(min(j.tau, WORKLOADS[key].tau))
+        decisions = (("pairwise", M.yes_sql(jj)), ("pairwise_fewshot", f"(select anchor_id, cand_id from {M.fewshot_sql(jj)} y0 where yes)"), ("listwise", M.s_sql(jj, True)))
+        return " union all ".join(M.prf_sql(dec, f"'{key}' as workload, '{j.name}' as judge, '{n}' as strategy, ") for n, dec in decisions)
+
+    return " union all ".join(f"select * from ({derive_sql(k)}{M.examples_sql(k)}{' union all '.join(one(k, j) for j in judges)}) w{i}" for i, k in enumerate(keys))
+
+
+@query("exp_fewshot", fewshot_rates_sql(ALL, [OLDER, NEWER]))
+def fewshot(s, d):
+    return fewshot_rates(s, d, ALL, [OLDER, NEWER])
 
 
 @query("exp_compound_vs_single", on("w8", M.by_strategy_sql("w8", [OLDER])))
@@ -184,9 +289,9 @@ def _(s, d):
     return M.by_strategy(s, d, ["w8"], [OLDER])
 
 
-@query("exp_cost")
+@query("exp_cost", on(W, _ledger_sql + f"select * from usd join {_ratio_sql} r using (strategy)"))
 def _(s, d):
-    return dollars(s, d).join(ratio(s, d), "strategy")
+    return ratios(dollars(s, d))
 
 
 @query("exp_position")
@@ -213,11 +318,22 @@ def rank_recall(s, d):
     return out
 
 
-@query("exp_k_ablation", on("w8", " union all ".join(f"select '{j.name}' as judge, * from ({M.k_sql(M.RANKER, j)}) z" for j in (OLDER, NEWER))))
+def _k_ablation_sql() -> str:
+    one = lambda key, j: f"select '{j.name}' as judge, * from ({M.k_sql(RANKER, j.with_tau(min(j.tau, WORKLOADS[key].tau)))}) z"
+    each = " union all ".join(f"select * from ({derive_sql(key)}{' union all '.join(one(key, j) for j in (OLDER, NEWER))}) w{i}" for i, key in enumerate(ALL))
+    return f"select judge, k, count(*) as workloads, round(avg(f1), 4) as f1, round(avg(precision), 4) as precision, round(avg(recall), 4) as recall from ({each}) e group by judge, k"
+
+
+@query("exp_k_ablation", _k_ablation_sql())
 def _(s, d):
-    c = candidates(s, d, "w8")
-    one = lambda j: M.k_sweep(c, M.RANKER, j).withColumn("judge", F.lit(j.name))
-    return one(OLDER).unionAll(one(NEWER))
+    """Rates by the number of candidates kept, averaged over the workloads."""
+    out = None
+    for key in ALL:
+        c = candidates(s, d, key)
+        for j in (OLDER, NEWER):
+            one = M.k_sweep(c, RANKER, j.with_tau(min(j.tau, WORKLOADS[key].tau))).withColumn("judge", F.lit(j.name))
+            out = one if out is None else out.unionAll(one)
+    return out.groupBy("judge", "k").agg(F.count(F.lit(1)).alias("workloads"), *(F.round(F.avg(m), 4).alias(m) for m in ("f1", "precision", "recall")))
 
 
 # --- Baselines

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -97,7 +99,7 @@ def pass_sql(j: Judge) -> str:
 
 
 def identify_sql(jc: Judge, jm: Judge) -> str:
-    return f"(select anchor_id, case when yes then cand_id end as cand_id from {m_sql(jm, pass_sql(jc) if jc.sigma_triple else bubble_sql(1))} i0)"
+    return f"(select anchor_id, case when yes then cand_id end as cand_id from {m_sql(jm, pass_sql(jc) if jc.sigma_triple or jc.sigma_record else bubble_sql(1))} i0)"
 
 
 # --- Pairwise
@@ -157,30 +159,47 @@ def _(s, d):
     return training_pairs(s, d, W).select("anchor_id", "cand_id", "is_true", "sim")
 
 
-def example_pool(s: SparkSession, d: str, key: str, n: int = 60) -> DataFrame:
-    """A bounded pool of labelled pairs, so many of either label."""
-    w = Window.partitionBy("is_true").orderBy("anchor_id", "cand_id")
-    t = training_pairs(s, d, key).withColumn("n", F.row_number().over(w)).filter(F.col("n") <= n)
-    return t.select(F.concat(F.col("anchor_id").cast("string"), F.lit("|"), F.col("cand_id").cast("string")).alias("ex_id"), F.col("sim").alias("ex_sim"), F.col("is_true").cast("int").alias("label"))
+def examples(s: SparkSession, d: str, key: str) -> DataFrame:
+    """Three like and three unlike labelled pairs for each evaluation anchor, from all training pairs."""
+
+    def make():
+        w, d1 = WORKLOADS[key], side(s, d, WORKLOADS[key], "d1")
+        return S.retrieve_examples(d1.join(sample(d1, truth(s, d, key)), "rid", "left_semi"), d1, training_pairs(s, d, key), w)
+
+    return kept(s, (d, key, "examples"), make)
+
+
+def examples_sql(key: str) -> str:
+    """Common table expressions after those of derive_sql, ending in ex."""
+    near = B.blocking_sql(replace(WORKLOADS[key], max_df=S.EXAMPLE_DF), "picked", 3)
+    one = lambda label, having: f"select anchor_id, {label} as label, cast(row_number() over (partition by anchor_id order by pos, ex_c) as integer) as n, ex_a, ex_c, ex_sim from (with d2 as (select * from d1 where rid in (select ex_a from pool where {having})), {near} select anchor_id, cand_id as ex_a, pos from cand) near{label} join pool using (ex_a) where {having}"
+    return f", pool as ({train_sql(key)} select anchor_id as ex_a, cand_id as ex_c, sim as ex_sim, is_true from tp), ex as (select * from ({one(1, 'is_true')} union all {one(0, 'not is_true')}) e0 where n <= 3) "
 
 
-@query("fewshot_examples")
-def fewshot_examples(s, d):
-    return S.retrieve_examples(candidates(s, d, W), example_pool(s, d, W))
+def fewshot_sql(j: Judge) -> str:
+    """Over cs and ex: cs with shift and yes."""
+    return f"(select *, {j.p_yes('oracle', '(sim - shift)')} >= 0.5 as yes from (select cs.*, round(coalesce((up + down) / 2 - {j.tau}e0, 0.0e0) + 1e-9, 6) as shift from cs left join (select anchor_id, avg(ex_sim) filter (label = 1) as up, avg(ex_sim) filter (label = 0) as down from ex group by anchor_id) f0 using (anchor_id)) f1)"
 
 
-@query("match_fewshot")
+@query("fewshot_examples", on(W, examples_sql(W) + "select * from ex"))
+def _(s, d):
+    return examples(s, d, W)
+
+
+@query("match_fewshot", on(W, examples_sql(W) + f"select anchor_id, cand_id, shift, yes from {fewshot_sql(LENIENT)} q"))
 def fewshot(s, d):
-    return S.match_fewshot(candidates(s, d, W), LENIENT, fewshot_examples(s, d)).select("anchor_id", "cand_id", "shift", "yes")
+    return S.match_fewshot(candidates(s, d, W), LENIENT, examples(s, d, W)).select("anchor_id", "cand_id", "shift", "yes")
 
 
-def _texts(s, d, key):
+def record_words(s: SparkSession, d: str, key: str, which: str) -> DataFrame:
+    """rid, words: how long each record of a side is in a prompt."""
     w = WORKLOADS[key]
-    names = [t.name for t in w.attributes]
-    d1, d2 = side(s, d, w, "d1"), side(s, d, w, "d2")
-    a = d1.select(F.col("rid").alias("anchor_id"), P.record_text(names, "").alias("a_text"))
-    b = d2.select(F.col("rid").alias("cand_id"), P.record_text(names, "").alias("b_text"))
-    return candidates(s, d, key).join(a, "anchor_id").join(b, "cand_id")
+    return side(s, d, w, which).select("rid", P.count_tokens(P.record_text([t.name for t in w.attributes], "")).alias("words"))
+
+
+def words_sql(key: str, which: str) -> str:
+    text = "concat_ws('; ', " + ", ".join(f"'{t.name}: ' || cast({t.name} as varchar)" for t in WORKLOADS[key].attributes) + ")"
+    return f"(select rid, cast(len(list_filter(string_split_regex({text}, '\\s+'), lambda w: w <> '')) as bigint) as words from {which})"
 
 
 _rec = "concat_ws('; ', concat('customer: ', customer), concat('day: ', cast(day as varchar)), concat('priority: ', priority))"

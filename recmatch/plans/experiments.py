@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from recmatch.functions import prompts as P
@@ -10,11 +10,12 @@ from recmatch.functions.prompts import count_tokens
 from recmatch.operators import baselines as BL
 from recmatch.operators import measures as A
 from recmatch.operators import strategies as S
-from recmatch.operators.judges import LADDER, LENIENT, NEWER, OLDER, RANKER
+from recmatch.operators.judges import LADDER, LENIENT, NEWER, OLDER, RANKER, Judge
 from recmatch.plans import methods as M
-from recmatch.plans.candidates import candidates, derive_sql, kept, sample, side, truth
+from recmatch.plans.blocking import block_tfidf
+from recmatch.plans.candidates import candidates, compared, derive_sql, kept, sample, side, truth
 from recmatch.plans.methods import PLACED, W, on, query
-from recmatch.plans.workloads import WORKLOADS
+from recmatch.plans.workloads import WORKLOADS, Workload
 
 #: Prices are invented: dollars for a thousand input tokens, and for an hour of a rented accelerator.
 PRICES = {"strong": 0.0030, "cheap": 0.0002}
@@ -294,12 +295,31 @@ def _(s, d):
     return ratios(dollars(s, d))
 
 
-@query("exp_position")
+#: Compares with a liking for what comes first, and errs.
+SHY = Judge("place-shy", tau=0.8, delta=0.04, sigma_triple=0.3, seed=14)
+
+
+def position_f1(cands: DataFrame, choose) -> DataFrame:
+    """slot, lists, hits, wrong, f1 of a choice on lists with the true candidate in each slot."""
+    p = S.place_at(cands).withColumn("anchor_id", F.col("anchor_id") * 100 + F.col("slot"))
+    got = choose(p).select("anchor_id", F.col("cand_id").alias("got"))
+    by = p.filter("is_true").select("anchor_id", "slot", "cand_id").join(got, "anchor_id").groupBy("slot").agg(F.count(F.lit(1)).alias("lists"), F.count_if(F.col("got") == F.col("cand_id")).alias("hits"), F.count_if(F.col("got") != F.col("cand_id")).alias("wrong"))
+    return by.withColumn("f1", F.round(200.0 * F.col("hits") / (F.col("hits") + F.col("wrong") + F.col("lists")), 4))
+
+
+_placed = "(select anchor_id * 100 + slot as anchor_id, cand_id, pos, sim, is_true, slot from placed)"
+_curves = {"listwise": M.s_sql(PLACED, True, _placed), "compound": M._compound_on(_placed), "unbiased": M.s_sql(LENIENT, True, _placed), "triplewise": f"(with cs as (select * from {_placed} p0) select * from {M.identify_sql(SHY, SHY)} i1)"}
+
+
+@query("exp_position", on(W, M._placed_sql + "select method, slot, lists, hits, wrong, round(200.0e0 * hits / (hits + wrong + lists), 4) as f1 from (" + " union all ".join(f"select '{n}' as method, p.slot, count(*) as lists, count(*) filter (c.cand_id = p.cand_id) as hits, count(*) filter (c.cand_id <> p.cand_id) as wrong from {_placed} p join {dec} c using (anchor_id) where p.is_true group by p.slot" for n, dec in _curves.items()) + ") z"))
 def _(s, d):
     c = candidates(s, d, W)
-    one = lambda n, f: M.position(c, f).withColumn("method", F.lit(n))
-    flat = LENIENT
-    return one("listwise", lambda p: S.select(p, PLACED)).unionAll(one("compound", lambda p: S.compound(p, PLACED, PLACED))).unionAll(one("unbiased", lambda p: S.select(p, flat)))
+    ways = {"listwise": lambda p: S.select(p, PLACED, True), "compound": lambda p: S.compound(p, PLACED, PLACED), "unbiased": lambda p: S.select(p, LENIENT, True), "triplewise": lambda p: S.compare_identify(p, SHY, SHY)}
+    out = None
+    for n, way in ways.items():
+        one = position_f1(c, way).withColumn("method", F.lit(n))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("exp_judges", on(W, M.by_strategy_sql(W, LADDER)))
@@ -338,41 +358,58 @@ def _(s, d):
 
 # --- Baselines
 
-def _baseline(name: str, context: bool, fit):
-    @query(name)
-    def run(s, d):
-        train, c = BL.pair_features(M.training_pairs(s, d, W), context), BL.pair_features(candidates(s, d, W), context)
-        if train.isEmpty():  # every record stands in the evaluation sample
-            return c.select("anchor_id", "cand_id", F.lit(0.0).alias("p"))
-        return BL.predict(fit(train), c).select("anchor_id", "cand_id", F.round("p", 6).alias("p"))
+#: Records of the first side from which the self-supervised baseline learns, at most.
+SELF_SAMPLE = 2000
 
-    return run
 
+def perturbed(r: DataFrame, w: Workload) -> DataFrame:
+    """Records as another source may hold them: words and values missing, numbers a little off; by digests of ids, so that reruns agree."""
+    u = lambda tag, *more: F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(tag), F.col("rid").cast("string"), *more)), 1, 8), 16, 10).cast("double") / 4294967296
 
-supervised = _baseline("baseline_supervised_linear", False, BL.fit_pair_classifier)
-listaware = _baseline("baseline_supervised_listaware", True, BL.fit_context_classifier)
-mixture = _baseline("baseline_unsup_mixture", False, BL.fit_mixture)
+    def other(t) -> Column:
+        v = F.col(t.name)
+        if t.kind in ("jaccard", "contain"):
+            return F.array_join(F.filter(F.split(v, " "), lambda x, i: u(t.name, i.cast("string")) >= 0.2), " ")
+        if t.kind == "lev":
+            return F.when(u(t.name) < 0.5, F.substring(v, 2, 1 << 30)).otherwise(v)
+        if t.kind in ("absgap", "relgap"):
+            return v + F.lit(0.6 * t.scale) * (u(t.name) - 0.5) * (v if t.kind == "relgap" else F.lit(1.0))
+        return F.when(u(t.name) >= 0.2, v)
 
+    return r.select("rid", *(other(t).alias(t.name) for t in w.attributes))
+
+
+def selfsup_pairs(s, d, key: str) -> DataFrame:
+    """Pairs without labels of the task: records with a perturbed copy of themselves (true), and with what blocking holds most like them (false)."""
+    w = WORKLOADS[key]
+    d1 = side(s, d, w, "d1")
+    r = d1.orderBy(F.md5(F.concat(F.lit("u|"), F.col("rid").cast("string"))), "rid").limit(SELF_SAMPLE)
+    same = compared(r.select(F.col("rid").alias("anchor_id"), F.col("rid").alias("cand_id"), F.lit(1).alias("pos")), r, perturbed(r, w), w)
+    other = compared(block_tfidf(r, d1, w, 3, exclude_self=True).drop("block_score"), r, d1, w)
+    return same.withColumn("is_true", F.lit(True)).unionByName(other.withColumn("is_true", F.lit(False)))
 
-@query("baseline_features", on("w6", "select anchor_id, cand_id, coalesce(s_customer, 0.5e0) as s_customer, coalesce(s_day, 0.5e0) as s_day, coalesce(s_price, 0.5e0) as s_price, coalesce(s_priority, 0.5e0) as s_priority from cs"))
-def _(s, d):
-    return BL.pair_features(candidates(s, d, "w6")).select("anchor_id", "cand_id", "s_customer", "s_day", "s_price", "s_priority")
 
+BASELINES = {"supervised": (False, BL.fit_pair_classifier), "list-aware": (True, BL.fit_context_classifier), "mixture": (False, BL.fit_mixture), "self-supervised": (False, BL.fit_selfsup)}
 
-@query("baseline_selfsup")
-def selfsup(s, d):
-    """Trained on records against a perturbed copy of themselves, and against their neighbour in a digest's order."""
-    from recmatch.plans.candidates import compared
 
-    w = WORKLOADS[W]
-    r = side(s, d, w, "d1")
-    copy = r.withColumn("name", F.when(F.rand(3) < 0.5, F.reverse(F.split("name", " "))[0]).otherwise(F.col("name"))).withColumn("type", F.when(F.rand(4) < 0.8, F.col("type"))).withColumn("size", F.col("size") + F.when(F.rand(5) < 0.2, 1).otherwise(0))
-    same = r.select(F.col("rid").alias("anchor_id"), F.col("rid").alias("cand_id"))
-    other = r.select(F.col("rid").alias("anchor_id"), ((F.col("rid") * 7 + 13) % F.lit(r.count())).alias("cand_id")).filter("anchor_id <> cand_id")
-    pos = compared(same, r, copy, w).withColumn("is_true", F.lit(True))
-    neg = compared(other, r, copy, w).withColumn("is_true", F.lit(False))
-    model = BL.fit_selfsup(BL.pair_features(pos.unionByName(neg)))
-    return BL.predict(model, BL.pair_features(candidates(s, d, W))).select("anchor_id", "cand_id", F.round("p", 6).alias("p"))
+def baseline(s, d, key: str, name: str) -> DataFrame:
+    """anchor_id, cand_id, p. Where there is nothing to learn from (no training pairs, or for learners of labels no two labels), p is 0."""
+    context, fit = BASELINES[name]
+    c = BL.pair_features(candidates(s, d, key), context)
+    train = BL.pair_features(selfsup_pairs(s, d, key) if name == "self-supervised" else M.training_pairs(s, d, key), context).select("label", *BL.features(c)).cache()
+    enough = train.select("label").distinct().count() >= (1 if name == "mixture" else 2)
+    out = BL.predict(fit(train), c) if enough else c.select("anchor_id", "cand_id", F.lit(0.0).alias("p"))
+    train.unpersist()
+    return out.select("anchor_id", "cand_id", F.round("p", 6).alias("p"))
+
+
+for _name, _query in (("supervised", "baseline_supervised_linear"), ("list-aware", "baseline_supervised_listaware"), ("mixture", "baseline_unsup_mixture"), ("self-supervised", "baseline_selfsup")):
+    query(_query)(lambda s, d, name=_name: baseline(s, d, W, name))
+
+
+@query("baseline_features", on("w6", "select anchor_id, cand_id, coalesce(s_customer, 0.5e0) as s_customer, coalesce(s_day, 0.5e0) as s_day, coalesce(s_price, 0.5e0) as s_price, coalesce(s_priority, 0.5e0) as s_priority from cs"))
+def _(s, d):
+    return BL.pair_features(candidates(s, d, "w6")).select("anchor_id", "cand_id", "s_customer", "s_day", "s_price", "s_priority")
 
 
 _thr = "(select sim as threshold, f1 from (select sim, round(200.0e0 * sum(t) over w / (sum(n) over w + (select count(*) from tp where is_true)), 4) as f1 from (select sim, count(*) filter (is_true) as t, count(*) as n from tp group by sim) b window w as (order by sim desc)) z order by f1 desc, sim desc limit 1)"
@@ -384,12 +421,13 @@ def _(s, d):
 
 
 @query("exp_baselines")
-def _(s, d):
-    c = candidates(s, d, W)
+def baselines(s, d, keys=ALL):
     out = None
-    for n, f in (("supervised", supervised), ("list-aware", listaware), ("mixture", mixture), ("self-supervised", selfsup)):
-        one = A.prf(c, BL.decide(f(s, d))).select(F.lit(n).alias("baseline"), "tp", "fp", "fn", "precision", "recall", "f1")
-        out = one if out is None else out.unionAll(one)
+    for key in keys:
+        c = candidates(s, d, key)
+        for n in BASELINES:
+            one = A.prf(c, BL.decide(baseline(s, d, key, n))).select(F.lit(key).alias("workload"), F.lit(n).alias("baseline"), "tp", "fp", "fn", "precision", "recall", "f1")
+            out = one if out is None else out.unionAll(one)
     return out
 
 

@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__ as E
 
 #: One of each family; the driver compares all of them.
-NAMES = ["match_score", "compare_score_probs", "select_optout", "compound_match_select", "metric_prf", "cost_records", "exp_judges", "graph_mutual_best", "block_bm25_topn", "op_agg_cube", "op_join_range", "op_win_frames", "st_tumbling", "st_stream_join"]
+NAMES = ["match_score", "compare_score_probs", "select_optout", "compound_match_select", "metric_prf", "cost_records", "fewshot_examples", "match_fewshot", "cost_tokens", "cost_frontier", "exp_position", "exp_judges", "graph_mutual_best", "block_bm25_topn", "op_agg_cube", "op_join_range", "op_win_frames", "st_tumbling", "st_stream_join"]
 
 
 @pytest.fixture(scope="module")

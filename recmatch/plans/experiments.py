@@ -308,7 +308,7 @@ def position_f1(cands: DataFrame, choose) -> DataFrame:
 
 
 _placed = "(select anchor_id * 100 + slot as anchor_id, cand_id, pos, sim, is_true, slot from placed)"
-_curves = {"listwise": M.s_sql(PLACED, True, _placed), "compound": M._compound_on(_placed), "unbiased": M.s_sql(LENIENT, True, _placed), "triplewise": f"(with cs as (select * from {_placed} p0) select * from {M.identify_sql(SHY, SHY)} i1)"}
+_curves = {"listwise": M.s_sql(PLACED, True, _placed), "compound": M._compound_on(_placed), "unbiased": M.s_sql(LENIENT, True, _placed), "triplewise": M.identify_sql(SHY, SHY).replace("from cs", f"from (select anchor_id, cand_id, pos, sim from {_placed} p0) p00")}
 
 
 @query("exp_position", on(W, M._placed_sql + "select method, slot, lists, hits, wrong, round(200.0e0 * hits / (hits + wrong + lists), 4) as f1 from (" + " union all ".join(f"select '{n}' as method, p.slot, count(*) as lists, count(*) filter (c.cand_id = p.cand_id) as hits, count(*) filter (c.cand_id <> p.cand_id) as wrong from {_placed} p join {dec} c using (anchor_id) where p.is_true group by p.slot" for n, dec in _curves.items()) + ") z"))

@@ -421,7 +421,7 @@ def _(s, d):
 
 
 @query("exp_baselines")
-def baselines(s, d, keys=ALL):
+def baselines(s, d, keys=(W,)):
     out = None
     for key in keys:
         c = candidates(s, d, key)

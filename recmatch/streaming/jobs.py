@@ -41,12 +41,15 @@ def events(s: SparkSession, d: str) -> DataFrame:
 
 
 def finish(df: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run a streaming query over what is there into a memory table."""
-    s = df.sparkSession
-    table_name = f"{name}_{uuid.uuid4().hex[:8]}"
-    q = df.writeStream.format("memory").queryName(table_name).outputMode(mode).option("checkpointLocation", _place(s, name)).trigger(availableNow=True).start()
+    """Run a streaming query over what is there into Parquet: complete batches replace one another, updates stay beside each other."""
+    s, out = df.sparkSession, _place(df.sparkSession, name)
+
+    def keep(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/data/batch={0 if mode == 'complete' else n}")
+
+    q = df.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return s.table(table_name)
+    return s.read.schema(df.schema).parquet(f"{out}/data/batch=*")
 
 
 def sunk(df: DataFrame, name: str) -> DataFrame:

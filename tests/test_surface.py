@@ -11,3 +11,8 @@ def test_lateral_takes_the_dearest_of_every_customer_that_orders_name(spark, tmp
     want = {(c, k) for c in {r[1] for r in rows} for _, k in sorted((-p, k) for k, o, p in rows if o == c)[:2]}
     assert sorted(map(str, map(tuple, df.collect()))) == sorted(map(str, want))
     assert "o_totalprice" in next(x for x in df._jdf.queryExecution().toString().split("Physical Plan")[1].split("\n") if " Window " in x)
+
+
+def test_streams_leave_their_rows_in_files_not_on_the_driver(spark, tiny):
+    for name in ("st_session", "st_tumbling", "st_sliding", "st_stateful_canon"):
+        assert E.queries()[name](spark, tiny).inputFiles()

@@ -16,3 +16,7 @@ def test_lateral_takes_the_dearest_of_every_customer_that_orders_name(spark, tmp
 def test_streams_leave_their_rows_in_files_not_on_the_driver(spark, tiny):
     for name in ("st_session", "st_tumbling", "st_sliding", "st_stateful_canon"):
         assert E.queries()[name](spark, tiny).inputFiles()
+
+
+def test_salted_join_broadcasts_no_copies(spark, tiny):
+    assert "Broadcast" not in E.queries()["op_join_skew_salted"](spark, tiny)._jdf.queryExecution().toString()

@@ -6,6 +6,7 @@ import __spark_entry__ as E
 
 NAMES = [
     "match_parse",
+    "compare_parse",
 ]
 
 

@@ -10,6 +10,7 @@ NAMES = [
     "match_parse",
     "compare_parse",
     "select_parse",
+    "op_udf_arrow",
 ]
 
 

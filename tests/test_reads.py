@@ -11,6 +11,7 @@ NAMES = [
     "compare_parse",
     "select_parse",
     "op_udf_arrow",
+    "op_udf_pandas",
 ]
 
 

@@ -12,6 +12,7 @@ NAMES = [
     "select_parse",
     "op_udf_arrow",
     "op_udf_pandas",
+    "op_udf_scalar",
 ]
 
 

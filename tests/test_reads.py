@@ -14,6 +14,7 @@ NAMES = [
     "op_udf_pandas",
     "op_udf_scalar",
     "cost_closed_forms",
+    "cost_gpu",
 ]
 
 

@@ -15,6 +15,7 @@ NAMES = [
     "op_udf_scalar",
     "cost_closed_forms",
     "cost_gpu",
+    "op_recursive_cte",
 ]
 
 

@@ -16,6 +16,7 @@ NAMES = [
     "cost_closed_forms",
     "cost_gpu",
     "op_recursive_cte",
+    "op_udtf_triples",
 ]
 
 

@@ -36,3 +36,11 @@ def test_equals_pairs_counted_one_by_one_and_shuffles_none(spark, monkeypatch, a
     got = B.block_tfidf(spark.createDataFrame(anchors, "rid long, name string"), d2, W, 4)
     assert sorted(map(tuple, got.collect())) == brute(anchors, RECORDS, 4)
     assert "Join" not in got._jdf.queryExecution().toString().split("Physical Plan")[1]
+
+
+def test_a_collection_with_itself_meets_by_token_sets(spark):
+    d = spark.createDataFrame(RECORDS, "rid long, name string").repartition(5)
+    asked = []
+    keep = lambda name, make: asked.append(name) or make().localCheckpoint()
+    got = B.block_same(d, W, 4, keep)
+    assert sorted(map(tuple, got.collect())) == brute(RECORDS, RECORDS, 4, True) and asked == ["sets", "near"]

@@ -33,8 +33,8 @@ INDEX = "doc_id long, file string, part int, place long, offset long, length lon
 MASK = 0xA282EAD8
 HEAD, HEAD_BYTES = "<qIB", 13
 NULL_ID = -(2**63)
-#: Pieces are kept for reuse up to this length, so many at most.
-CACHED_CHARS, CACHED_PIECES, CHUNK = 40, 100_000, 200
+#: Words are kept for reuse up to this length, so many at most and those of the fill before; texts encoded together.
+CACHED_CHARS, CACHED_WORDS, CHUNK = 40, 100_000, 200
 
 
 def masked(data: bytes) -> int:
@@ -69,6 +69,8 @@ def unpack(payload: bytes) -> tuple[int | None, np.ndarray]:
 
 #: Fixed value: the pattern of pieces of vocabularies that mark the ends of words.
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: Fixed value: the byte-level form shows bytes that are no printable Latin-1 characters as characters from 256 on, in order.
+BYTE_LEVEL = {b: 256 + i for i, b in enumerate([*range(33), *range(127, 161), 173])}
 
 
 def _by_pieces(spec: dict) -> bool:
@@ -79,11 +81,12 @@ def _by_pieces(spec: dict) -> bool:
 
 
 class Encoder:
-    """A tokenizers file, encoding piece by piece with a cache.
+    """A tokenizers file, encoding word by word with a cache.
 
     The vocabulary marks the ends of words, and neither its normalizer nor its merges look past a
-    piece (a run of letters, one digit, a run of other signs), so equal pieces get equal ids. Texts with
-    characters outside the Latin blocks, or with the strings of special tokens, go to the library whole.
+    piece (a run of letters, one digit, a run of other signs), so equal pieces get equal ids. No piece
+    holds a blank, so a word between blanks is cut into the same pieces alone. Texts with characters
+    outside the Latin blocks, or with the strings of special tokens, go to the library whole.
     """
 
     def __init__(self, path: str):
@@ -94,44 +97,51 @@ class Encoder:
         self.tool = Tokenizer.from_file(path)
         vocab = self.tool.get_vocab()
         self.width = 2 if max(vocab.values()) < 2**16 else 4
-        self.ends = np.zeros(max(vocab.values()) + 1, bool)
-        for k, v in vocab.items():
-            self.ends[v] = k.endswith("</w>")
         self.special = [k for k, v in self.tool.get_added_tokens_decoder().items()] and [t.content for t in self.tool.get_added_tokens_decoder().values()]
-        self.piecewise = _by_pieces(json.loads(self.tool.to_str()))
+        spec = json.loads(self.tool.to_str())
+        self.piecewise = _by_pieces(spec)
+        steps = (spec.get("pre_tokenizer") or {}).get("pretokenizers") or []
+        self.model, self.direct = self.tool.model, [x["type"] for x in steps] == ["Split", "ByteLevel"] and not steps[1].get("add_prefix_space")
         self.plain = regex.compile(r"[\t-\r -~\xa1-ɏ]*+")
         self.pieces = regex.compile(PIECES).findall
         self.cache: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
 
     def whole(self, text: str) -> bytes:
         return array("I", self.tool.encode(text, add_special_tokens=False).ids).tobytes()
 
-    def learn(self, pieces: list[str]) -> None:
-        for i in range(0, len(pieces), 2000):
-            some = pieces[i : i + 2000]
-            ids = np.array(self.tool.encode(" ".join(some), add_special_tokens=False).ids, np.uint32)
-            cuts = np.flatnonzero(self.ends[ids]) + 1
-            if len(cuts) == len(some):
-                data, at = ids.tobytes(), 0
-                for w, end in zip(some, (cuts * 4).tolist()):
-                    self.cache[w] = data[at:end]
-                    at = end
-            else:
-                for w in some:
-                    self.cache[w] = self.whole(w)
+    def piece(self, text: str) -> bytes:
+        """Ids of one lower-case piece of the Latin blocks: the model takes its byte-level form. Printable ASCII is its own."""
+        if not self.direct:
+            return self.whole(text)
+        if not text.isascii():
+            text = text.encode().decode("latin-1").translate(BYTE_LEVEL)
+        return array("I", [t.id for t in self.model.tokenize(text)]).tobytes()
+
+    def learn(self, unknown: set[str]) -> None:
+        """Enter words into the cache. When it is full, the words of the last fill stay at hand until the next."""
+        if len(self.cache) > CACHED_WORDS:
+            self.older, self.cache = self.cache, {}
+        cache, older, pieces, piece = self.cache, self.older, self.pieces, self.piece
+        for w in unknown:
+            ids = older.get(w)
+            if ids is None:
+                ids = piece(w) if w.isalpha() else b"".join(map(piece, pieces(w)))
+            cache[w] = ids
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian u32."""
-        if len(self.cache) > CACHED_PIECES:
-            self.cache.clear()
-        lists = [self.pieces(t.lower()) if self.piecewise and self.plain.fullmatch(t) and not any(s in t for s in self.special) else None for t in texts]
-        cache = self.cache
-        unknown = [w for w in set().union(*(x for x in lists if x is not None)) if w not in cache]
+        lists = [t.lower().split() if self.piecewise and self.plain.fullmatch(t) and not any(s in t for s in self.special) else None for t in texts]
+        held = set().union(*(x for x in lists if x is not None))
+        unknown = held.difference(self.cache)
+        if len(self.cache) > CACHED_WORDS:
+            unknown = held
         self.learn(unknown)
-        out = [self.whole(t) if x is None else b"".join(map(cache.__getitem__, x)) for t, x in zip(texts, lists)]
+        known = self.cache.__getitem__
+        out = [self.whole(t) if x is None else b"".join(map(known, x)) for t, x in zip(texts, lists)]
         for w in unknown:
             if len(w) > CACHED_CHARS:
-                del cache[w]
+                del self.cache[w]
         return out
 
 

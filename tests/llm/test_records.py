@@ -49,3 +49,13 @@ def test_round_trip_and_shuffled_reads(spark):
 
 def test_empty(spark):
     assert R.digest(spark.createDataFrame([], "doc_id long, text string"), scratch(spark, "t")).count() == 0
+
+
+def test_words_outlive_a_full_cache_and_cost_no_call_of_the_library(monkeypatch):
+    monkeypatch.setattr(R, "CACHED_WORDS", 8)
+    tool = R.Encoder(R.vocabulary())
+    monkeypatch.setattr(tool, "whole", lambda text: pytest.fail(f"{text!r} went to the library"))
+    texts = [f"The naïve café's İstanbul, don't «x²» 3½ Ⱥb {'z' * 50} w{n} {n}e'll" for n in range(40)]
+    want = reference(texts)
+    assert [x for t in texts for x in tool.encode([t])] == [x for x in want if x is not None]
+    assert len(tool.cache) + len(tool.older) < 60 and "café's" in tool.cache

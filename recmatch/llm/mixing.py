@@ -126,11 +126,14 @@ def op9_low_discrepancy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def take(docs: DataFrame, **how) -> DataFrame:
-    """docs as the mix takes them: a row for each whole time that it takes a document, halves rounded up; columns unchanged. Rows are told apart, not ids."""
+    """docs as the mix takes them: a row for each whole time that it takes a document, halves rounded up; columns unchanged. Rows are told apart, not ids.
+
+    The join moves the texts whatever the number of rows: a table of a number each is broadcast on small inputs only.
+    """
     names = docs.columns
     docs, row = numbered(docs)
     n, key = f"{row}n", f"{row}r"
     times = F.floor(F.col("taken") / F.col("size") + 0.5).cast("int")
     used = settled(docs.sparkSession, "taken", lambda: mix(docs, **how, row=row)[0].filter("size > 0").select(F.col("row").alias(key), times.alias(n)).filter(F.col(n) > 0))
-    both = docs.join(used, F.col(row) == F.col(key))
+    both = docs.join(used.hint("merge"), F.col(row) == F.col(key))
     return both.withColumn(n, F.explode(F.sequence(F.lit(1), F.col(n)))).select(*(F.col(f"`{c}`") for c in names))

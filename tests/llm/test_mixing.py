@@ -67,3 +67,10 @@ def test_schedule_is_even(spark):
         for key, share in ((1, 1.5 / 2.25), (2, 0.5 / 2.25), (3, 0.25 / 2.25)):
             assert abs(part[key] - 2000 * share) < 12
     assert plan.groupBy("source_key").agg(F.count("*").alias("n"), F.max("block_no").alias("m"), F.countDistinct("block_no").alias("d")).filter("n <> m + 1 or n <> d").count() == 0
+
+
+def test_take_moves_texts_alike_on_any_input(spark, tiny):
+    """A broadcast on small inputs only would make the shuffles of larger ones look like growth."""
+    out = M.take(spark.read.parquet(f"{tiny}/documents.parquet"))
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "BroadcastHashJoin" not in plan

@@ -19,9 +19,11 @@ import struct
 import uuid
 import zlib
 from array import array
+from operator import attrgetter
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -33,8 +35,8 @@ INDEX = "doc_id long, file string, part int, place long, offset long, length lon
 MASK = 0xA282EAD8
 HEAD, HEAD_BYTES = "<qIB", 13
 NULL_ID = -(2**63)
-#: Words are kept for reuse up to this length, so many at most and those of the fill before; texts encoded together.
-CACHED_CHARS, CACHED_WORDS, CHUNK = 40, 100_000, 200
+#: Words are kept for reuse up to this length, pieces of words up to that; so many words at most and those of the fill before; texts encoded together.
+CACHED_CHARS, SHORT_CHARS, CACHED_WORDS, CHUNK = 40, 3, 100_000, 500
 
 
 def masked(data: bytes) -> int:
@@ -69,6 +71,7 @@ def unpack(payload: bytes) -> tuple[int | None, np.ndarray]:
 
 #: Fixed value: the pattern of pieces of vocabularies that mark the ends of words.
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+TOKEN_ID = attrgetter("id")
 #: Fixed value: the byte-level form shows bytes that are no printable Latin-1 characters as characters from 256 on, in order.
 BYTE_LEVEL = {b: 256 + i for i, b in enumerate([*range(33), *range(127, 161), 173])}
 
@@ -106,6 +109,7 @@ class Encoder:
         self.pieces = regex.compile(PIECES).findall
         self.cache: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
+        self.short: dict[str, bytes] = {}
 
     def whole(self, text: str) -> bytes:
         return array("I", self.tool.encode(text, add_special_tokens=False).ids).tobytes()
@@ -116,33 +120,52 @@ class Encoder:
             return self.whole(text)
         if not text.isascii():
             text = text.encode().decode("latin-1").translate(BYTE_LEVEL)
-        return array("I", [t.id for t in self.model.tokenize(text)]).tobytes()
+        return array("I", map(TOKEN_ID, self.model.tokenize(text))).tobytes()
 
-    def learn(self, unknown: set[str]) -> None:
+    def learn(self, unknown: list[str]) -> None:
         """Enter words into the cache. When it is full, the words of the last fill stay at hand until the next."""
         if len(self.cache) > CACHED_WORDS:
             self.older, self.cache = self.cache, {}
-        cache, older, pieces, piece = self.cache, self.older, self.pieces, self.piece
+        cache, older, pieces, piece, short = self.cache, self.older, self.pieces, self.piece, self.short
+
+        def part(text: str) -> bytes:
+            ids = short.get(text)
+            if ids is None:
+                ids = cache.get(text) or older.get(text) or piece(text)
+                if len(text) <= SHORT_CHARS:
+                    short[text] = ids
+            return ids
+
+        if len(short) > CACHED_WORDS:
+            short.clear()
         for w in unknown:
             ids = older.get(w)
             if ids is None:
-                ids = piece(w) if w.isalpha() else b"".join(map(piece, pieces(w)))
+                ids = piece(w) if w.isalpha() else b"".join(map(part, pieces(w)))
             cache[w] = ids
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        """Ids of each text as little-endian u32."""
-        lists = [t.lower().split() if self.piecewise and self.plain.fullmatch(t) and not any(s in t for s in self.special) else None for t in texts]
-        held = set().union(*(x for x in lists if x is not None))
-        unknown = held.difference(self.cache)
-        if len(self.cache) > CACHED_WORDS:
-            unknown = held
+        """Ids of each text as little-endian u32. Python sees each different word once, Arrow and numpy see them all."""
+        plain = [self.piecewise and self.plain.fullmatch(t) is not None and not any(s in t for s in self.special) for t in texts]
+        lists = pc.ascii_split_whitespace(pa.array([t.lower() if p else "" for t, p in zip(texts, plain)], pa.large_string()))
+        each = lists.values.dictionary_encode()
+        held = pc.binary_join(pa.ListArray.from_arrays([0, len(each.dictionary)], each.dictionary), pa.scalar(" ", pa.large_string()))[0].as_py().split(" ") if len(each) else []
+        at = each.indices.to_numpy()
+        full = len(self.cache) > CACHED_WORDS
+        unknown = held if full else [w for w in held if w not in self.cache]
         self.learn(unknown)
-        known = self.cache.__getitem__
-        out = [self.whole(t) if x is None else b"".join(map(known, x)) for t, x in zip(texts, lists)]
+        codes = [self.cache[w] for w in held]
         for w in unknown:
             if len(w) > CACHED_CHARS:
                 del self.cache[w]
-        return out
+        size = np.fromiter(map(len, codes), np.int64, len(codes)) // 4
+        n, begin = size[at], np.cumsum(size) - size
+        end = np.concatenate([[0], np.cumsum(n)])
+        place = np.repeat(begin[at] - end[:-1], n)
+        place += np.arange(end[-1])
+        ids = np.frombuffer(b"".join(codes), "<u4")[place]
+        ends = end[lists.offsets.to_numpy()].tolist()
+        return [ids[i:j].tobytes() if p else self.whole(t) for t, p, i, j in zip(texts, plain, ends, ends[1:])]
 
 
 def vocabulary() -> str:

@@ -59,3 +59,12 @@ def test_words_outlive_a_full_cache_and_cost_no_call_of_the_library(monkeypatch)
     want = reference(texts)
     assert [x for t in texts for x in tool.encode([t])] == [x for x in want if x is not None]
     assert len(tool.cache) + len(tool.older) < 60 and "café's" in tool.cache
+
+
+def test_a_short_piece_is_tokenized_once(monkeypatch):
+    tool = R.Encoder(R.vocabulary())
+    calls, piece = [], tool.piece
+    monkeypatch.setattr(tool, "piece", lambda text: calls.append(text) or piece(text))
+    texts = [" ".join(f"{a}{b}{n}!" for n in range(10)) for a in "abc" for b in "xyz"] + ["", " \t\n ", "one"]
+    assert tool.encode(texts) == reference(texts)
+    assert calls.count("!") == 1 and len(calls) == len(set(calls))

@@ -4,7 +4,7 @@ from collections import Counter
 import corpus_pipeline as P
 import numpy as np
 from recmatch.llm import jaccard, mixing, quality, records
-from recmatch.llm.common import documents
+from recmatch.llm.common import documents, rested
 
 from .test_contamination import brute as leaks
 from .test_jaccard import brute as groups
@@ -47,3 +47,15 @@ def test_stages_equal_brute_force(spark, tiny):
 
 def test_names():
     assert [n for n, _ in P.STAGES] and len(P.STAGES) == 5
+
+
+def test_stages_begin_with_the_heap_given_back(spark, tiny):
+    sc = spark.sparkContext
+    filled = [sc._jvm.java.nio.ByteBuffer.allocate(64 << 20) for _ in range(8)]
+    high = sc._jvm.java.lang.Runtime.getRuntime().totalMemory()
+    for a in filled:
+        sc._gateway.detach(a)
+    del filled
+    rested(spark)
+    rested(spark)
+    assert sc._jvm.java.lang.Runtime.getRuntime().totalMemory() < high

@@ -57,3 +57,11 @@ def test_baselines_without_training_pairs(spark, tiny, monkeypatch):
     monkeypatch.setattr(X.M, "training_pairs", lambda *_: c.limit(0))
     for name in ("supervised", "list-aware", "mixture"):
         assert X.baseline(spark, tiny, "w2", name).filter("p <> 0").isEmpty()
+
+
+def test_sizes_of_a_workload_keep_repeats_and_nulls_apart(spark):
+    d1 = spark.createDataFrame([(1,), (2,), (2,), (None,)], "rid long")
+    d2 = spark.createDataFrame([(10,), (20,), (20,), (None,)], "rid long")
+    true = spark.createDataFrame([(1, 10), (2, 10), (2, 20), (2, 30), (3, 20), (1, None), (None, 10)], "anchor_id long, cand_id long")
+    assert X.sizes(d1, d2, true) == (4, 4, 3)
+    assert X.sizes(d1.limit(0), d2.limit(0), true) == (0, 0, 0)

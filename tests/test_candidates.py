@@ -20,3 +20,10 @@ def test_truth_of_documents_equals_its_sql_and_uses_all_cores(spark, tiny, key):
     d1, d2 = C.side(spark, tiny, w, "d1"), C.side(spark, tiny, w, "d2")
     pairs = got.selectExpr("anchor_id", "cand_id", "1 as pos")
     assert C.compared(pairs, d1, d2, w).rdd.getNumPartitions() == spark.sparkContext.defaultParallelism
+
+
+def test_a_joined_second_side_is_stored_once(spark, tiny):
+    one, again = (C.records(spark, tiny, "w8") for _ in range(2))
+    plan = one._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and one.inputFiles() and one.inputFiles() == again.inputFiles()
+    assert sorted(one.collect()) == sorted(C.side(spark, tiny, C.WORKLOADS["w8"], "d2").collect())

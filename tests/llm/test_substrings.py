@@ -78,6 +78,28 @@ def test_production_settings_spill(tmp_path):
     assert all(f.sum() == max(0, len(x) - 200 - 400 + 1) or f.sum() >= 1 for x, f in zip(strings, flags))
 
 
+def test_a_core_is_sorted_as_a_mark_and_its_number():
+    """Windows of 400 bytes round cores of 334 are told apart by 70 symbols, whatever bytes look like a number."""
+    rng = random.Random(14)
+    cores = [bytes(rng.choices(range(256), k=334)) for _ in range(300)] + [bytes(334), b"\0\0\1" * 111 + b"\0"]
+    sides = [bytes(rng.choices(b"\0\1a", k=66)) for _ in range(6)] + [bytes(66), b"\1" * 66]
+    bodies, at = [], []
+    for _ in range(900):
+        p, q = rng.randint(0, 66), rng.randint(0, 66)
+        p, q = (p, q) if p + q >= 66 else (66 - p, 66 - q)
+        bodies.append(rng.choice(sides)[66 - p :] + rng.choice(cores[-40:]) + rng.choice(sides)[:q])
+        at.append(p)
+    bodies, at = zip(*dict.fromkeys(zip(bodies, at)))
+    short = S.shortened(bodies, at, 334)
+    assert 3 * sum(map(len, short)) < sum(map(len, bodies))
+    windows = lambda b: [b[k : k + 400] for k in range(len(b) - 399)]
+    seen = Counter(x for b, p in zip(bodies, at) for x in zip(windows(b), range(p, -1, -1)))
+    flags = I.repeated(short, 67 + S.NUMBER, marks=list(at))
+    assert {True, False} == {bool(f.any()) for f in flags}
+    for b, p, f in zip(bodies, at, flags):
+        assert np.flatnonzero(f).tolist() == [k for k, x in enumerate(windows(b)) if seen[x, p - k] > 1]
+
+
 def test_table(spark, tiny):
     docs = spark.read.parquet(f"{tiny}/documents.parquet")
     assert sorted((tuple(r) for r in S.remove_repeats(docs).collect()), key=str) == brute([(r.doc_id, r.text) for r in docs.collect()], 400)

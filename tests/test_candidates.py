@@ -1,5 +1,7 @@
 """Truth and comparisons of the document workloads: right, and not the work of a single task."""
 
+import threading
+
 import duckdb
 import pytest
 from recmatch.plans import candidates as C
@@ -27,3 +29,24 @@ def test_a_joined_second_side_is_stored_once(spark, tiny):
     plan = one._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan and one.inputFiles() and one.inputFiles() == again.inputFiles()
     assert sorted(one.collect()) == sorted(C.side(spark, tiny, C.WORKLOADS["w8"], "d2").collect())
+
+
+def test_small_workloads_go_at_once_and_large_ones_one_by_one(spark, tiny, monkeypatch):
+    met = threading.Barrier(3)
+
+    def make(key):
+        met.wait(60)  # breaks unless all three are here
+        return key, spark.range(int(key[1:])).count()
+
+    assert C.together(spark, tiny, ["w3", "w1", "w2"], make) == [("w3", 3), ("w1", 1), ("w2", 2)]
+    monkeypatch.setattr(C, "SMALL", 0)
+    names = []
+    assert C.together(spark, tiny, ["w3", "w1"], lambda k: names.append(threading.current_thread().name) or k) == ["w3", "w1"]
+    assert names == [threading.current_thread().name] * 2 and C.tokens(spark, tiny, "w1") is None
+
+
+def test_texts_are_tokenized_once_for_all_anchors(spark, tiny):
+    one, again = (C.tokens(spark, tiny, "w3") for _ in range(2))
+    assert one.inputFiles() and one.inputFiles() == again.inputFiles()
+    d2, w = C.records(spark, tiny, "w3"), WORKLOADS["w3"]
+    assert sorted((r.rid, sorted(r.toks)) for r in one.collect()) == sorted((r.rid, sorted(r.toks)) for r in C.token_lists(d2, w).collect())

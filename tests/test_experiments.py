@@ -7,7 +7,7 @@ from recmatch.functions import prompts as P
 from recmatch.operators import baselines as BL
 from recmatch.operators import measures as A
 from recmatch.plans import experiments as X
-from recmatch.plans.candidates import candidates
+from recmatch.plans.candidates import anchors, candidates
 from recmatch.registry import QUERIES
 
 
@@ -65,3 +65,12 @@ def test_sizes_of_a_workload_keep_repeats_and_nulls_apart(spark):
     true = spark.createDataFrame([(1, 10), (2, 10), (2, 20), (2, 30), (3, 20), (1, None), (None, 10)], "anchor_id long, cand_id long")
     assert X.sizes(d1, d2, true) == (4, 4, 3)
     assert X.sizes(d1.limit(0), d2.limit(0), true) == (0, 0, 0)
+
+
+def test_examples_are_searched_among_stored_training_anchors(spark, tiny):
+    ids = lambda df, c: {r[0] for r in df.select(c).collect()}
+    rest, again = (X.M.training_anchors(spark, tiny, "w2") for _ in range(2))
+    assert rest.inputFiles() and rest.inputFiles() == again.inputFiles()
+    assert ids(X.M.training_pairs(spark, tiny, "w2"), "anchor_id") <= ids(rest, "rid")
+    assert not ids(rest, "rid") & ids(anchors(spark, tiny, "w2"), "rid")
+    assert ids(X.M.examples(spark, tiny, "w2"), "ex_a") <= ids(rest, "rid")

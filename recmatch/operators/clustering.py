@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import gc
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -11,17 +13,22 @@ def similarity_edges(scores: DataFrame, threshold: float) -> DataFrame:
 
 
 def connected_components(edges: DataFrame, rounds: int = 50) -> DataFrame:
-    """rid, cluster_id, the least id reachable. Each round takes the least label of the neighbours and jumps to its label; reliable checkpoints."""
-    both = edges.select(F.col("src_id").alias("u"), F.col("dst_id").alias("v"))
-    both = both.union(both.select("v", "u")).distinct().checkpoint()
-    labels = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("l")).checkpoint()
+    """rid, cluster_id, the least id reachable. Each round merges every node into the first of itself and its neighbours, in the order of a hash.
+
+    A group of near copies is then a node or a few, and the edges within are gone: later rounds and shuffles are small. Reliable checkpoints.
+    """
+    spark = edges.sparkSession
+    first = lambda c: F.struct(F.xxhash64(c).alias("h"), F.col(c).alias("l"))
+    left, up = edges.select(F.col("src_id").alias("u"), F.col("dst_id").alias("v")), None
+    left = left.union(left.select("v", "u")).distinct().checkpoint()
     for _ in range(rounds):
-        near = both.join(labels.select(F.col("u").alias("v"), "l"), "v").groupBy("u").agg(F.min("l").alias("m"))
-        step = labels.join(near, "u").select("u", F.least("l", "m").alias("n"), "l")
-        jump = step.join(step.select(F.col("u").alias("n"), F.col("n").alias("j")), "n", "left").select("u", "l", F.least("n", F.coalesce("j", "n")).alias("n")).checkpoint()
-        if jump.filter("n <> l").isEmpty():
-            return jump.select(F.col("u").alias("rid"), F.col("n").alias("cluster_id"))
-        labels = jump.select("u", F.col("n").alias("l"))
+        step = left.groupBy("u").agg(F.least(F.min(first("v")), F.min(first("u")))["l"].alias("l")).checkpoint()
+        up = step if up is None else up.join(step.select(F.col("u").alias("l"), F.col("l").alias("m")), "l", "left").select("u", F.coalesce("m", "l").alias("l")).checkpoint()
+        left = left.join(step, "u").select("v", F.col("l").alias("x")).distinct().join(step.withColumnRenamed("u", "v"), "v").select(F.col("x").alias("u"), F.col("l").alias("v")).filter("u <> v").distinct().checkpoint()
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()  # Spark deletes the shuffles and checkpoints that nobody can read
+        if left.isEmpty():
+            return up.join(up.groupBy("l").agg(F.min("u").alias("cluster_id")), "l").select(F.col("u").alias("rid"), "cluster_id")
     raise RuntimeError("components did not settle")
 
 

@@ -3,9 +3,13 @@
 import os
 import random
 
+from pyspark.sql import functions as F
+
+from recmatch.operators import clustering as G
 from recmatch.plans import candidates as C
+from recmatch.plans import methods as M
 from recmatch.plans import overlap as O
-from recmatch.plans.workloads import WORKLOADS
+from recmatch.plans.workloads import GRAMS, WORKLOADS
 
 
 def odd_documents(spark, path, repeat=()):
@@ -71,3 +75,22 @@ def test_least_is_the_smallest_number_of_shared_grams_that_reaches_the_share():
         for n in range(1, 300):
             k = O.least(percent, n)
             assert 100 * k >= percent * (n - k) and 100 * (k - 1) < percent * (n - k + 1)
+
+
+def test_minhash_edges_equal_a_join_of_all_grams_and_store_none(spark, tmp_path, monkeypatch):
+    where = odd_documents(spark, tmp_path)
+    g = C.sql(spark, where, GRAMS["spark"])
+    x, y = (g.filter("rid is not null").selectExpr(f"rid as {c}", "gram", f"n as n{c}") for c in "xy")
+    j = x.join(y, "gram").filter("x <> y").groupBy("x", "y").agg(F.count("*").alias("k"), F.max("nx").alias("nx"), F.max("ny").alias("ny"))
+    want = j.filter("k >= 0.4 * (nx + ny - k)").selectExpr("x", "y", "round(k / (nx + ny - k), 6) as w")
+    monkeypatch.setattr(M, "sql", lambda *a: 1 / 0)  # GRAMS, which stored all grams
+    got = M._dedup(spark, where)
+    assert want.count() > 60 and sorted(map(tuple, got.select("src_id", "dst_id", "weight").collect())) == sorted(map(tuple, want.collect()))
+
+
+def test_components_of_chains_cliques_and_loops(spark, tmp_path):
+    C.shared(spark)
+    edges = [(i, i + 1) for i in range(1, 200)] + [(a, b) for a in range(300, 320) for b in range(a) if b >= 300] + [(400, 400), (-5, 500), (500, -5)]
+    df = spark.createDataFrame(edges, "src_id long, dst_id long")
+    got = dict(map(tuple, G.connected_components(df).select("rid", "cluster_id").collect()))
+    assert got == {i: 1 for i in range(1, 201)} | {i: 300 for i in range(300, 320)} | {400: 400, -5: -5, 500: -5}
